@@ -6,8 +6,9 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-from knnvote.llm import simhash, tokenstore, toxicity, winnowing
-from knnvote.llm.common import shared_folder, table
+from knnvote.llm import mixing, simhash, tokenstore, toxicity, winnowing
+from knnvote.llm.common import literal_rows, shared_folder, table
+from knnvote.llm.queries import MIX_WEIGHTS, domain_of
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -26,6 +27,12 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
     return winnowing.without_contaminated(docs, table(spark, sf_dir, "benchmark"))
 
 
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keeps three quarters of the words, dealt to domains, languages and sources by weight; each document once at most."""
+    weights = literal_rows(spark, MIX_WEIGHTS, "level int, name string, weight long")
+    return mixing.mixed_rows(docs, domain_of(), 0.75, weights)
+
+
 def write_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Writes the documents' token ids into a content-addressed store and reads it back."""
     path = f"{shared_folder(spark)}/tokens-{uuid.uuid4().hex}"
@@ -37,6 +44,7 @@ STAGES = [
     ("toxicity", drop_toxic),
     ("near_dedup", drop_near_copies),
     ("decontamination", drop_contaminated),
+    ("mixing", mix_sources),
     ("token_output", write_tokens),
 ]
 

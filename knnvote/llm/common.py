@@ -43,6 +43,15 @@ def settle(df: DataFrame, name: str = "table") -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def literal_rows(spark: SparkSession, rows: Iterable[tuple], schema: str) -> DataFrame:
+    """A few rows of numbers and plain words as a DataFrame, from one literal; schema as `name type, ...`."""
+    text = "\n".join("\t".join(map(str, r)) for r in rows)
+    cells = F.split("line", "\t")
+    named = [c.split() for c in schema.split(", ")]
+    lines = spark.range(1).select(F.explode(F.split(F.lit(text), "\n")).alias("line")).where("line <> ''")
+    return lines.select(*[F.get(cells, F.lit(i)).cast(kind).alias(name) for i, (name, kind) in enumerate(named)])
+
+
 def crc_mod(doc_id: str, n: int) -> Column:
     """crc32 of an id's decimal text, modulo n; null ids take remainder 0."""
     return F.coalesce(F.crc32(F.col(doc_id).cast("string")) % n, F.lit(0))

@@ -8,12 +8,46 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import langid, simhash, tokenstore, toxicity, winnowing
-from .common import crc_mod, shared_folder, table
+from . import langid, licenses, mih, mixing, sharding, simhash, tokenstore, toxicity, urltree, winnowing
+from .common import crc_mod, literal_rows, shared_folder, table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+#: Target weights of the mix: level (0 domain, 1 language, 2 source), name, weight. Others weigh 1.
+MIX_WEIGHTS = ((0, "d0", 3), (0, "d1", 2), (1, "en", 4), (1, "de", 2), (1, "fr", 2), (2, "src0", 2))
+MIX_SHARE, MIX_EPOCHS, MIX_SEED = 0.5, 2, 42
+
+
+def domain_of(source: str = "source"):
+    """A document's domain: one of four, by its source."""
+    return F.concat(F.lit("d"), F.crc32(F.coalesce(F.col(source), F.lit("")).cast("binary")) % 4)
+
+
+def op1_hierarchical_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    weights = literal_rows(spark, MIX_WEIGHTS, "level int, name string, weight long")
+    return mixing.mix(table(spark, sf_dir, "documents"), domain_of(), MIX_SHARE, MIX_EPOCHS, weights, MIX_SEED)
+
+
+def op3_bounded_load_ring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = sharding.assign_rows(sharding.measured(table(spark, sf_dir, "documents")), tie=["size", "text_crc32"])
+    return rows.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
+
+
+def op5_license_compression(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan_documents(table(spark, sf_dir, "documents")).drop("spans")
+
+
+def op6_multi_index_hashing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    points = mih.with_code(table(spark, sf_dir, "embeddings"))
+    asked = points.where("id % 100 = 0").select(F.col("id").alias("qid"), F.col("code").alias("qcode"))
+    return mih.nearest(points, asked).select(F.col("qid").alias("query_id"), "rank", F.col("id").alias("vec_id"), "distance")
+
+
+def op10_path_template_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return urltree.judge(table(spark, sf_dir, "pages"))
+
+
 def op2_simhash_vantage_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash.near_duplicates(table(spark, sf_dir, "documents"))
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
@@ -64,11 +98,23 @@ FROM d LEFT JOIN words_hit USING (doc_id) LEFT JOIN items USING (doc_id)
 QUERIES: dict[str, Query] = {
     f.__name__: f
     for f in (
+        op1_hierarchical_mix,
         op2_simhash_vantage_trees,
+        op3_bounded_load_ring,
         op4_winnowing_decontamination,
+        op5_license_compression,
+        op6_multi_index_hashing,
         op7_naive_bayes_ngram_toxicity,
         op8_content_addressed_tokens,
         op9_rank_order_language,
+        op10_path_template_filter,
     )
 }
-SQL: dict[str, str] = {"op4_winnowing_decontamination": OP4_SQL}
+OP6_SQL = """
+WITH q AS (SELECT vec_id AS query_id, embedding AS e FROM embeddings WHERE vec_id % 100 = 0),
+d AS (SELECT query_id, vec_id, list_sum([CASE WHEN (q.e[i] > 0) <> (p.embedding[i] > 0) THEN 1 ELSE 0 END FOR i IN range(1, 65)])::INTEGER AS distance FROM q, embeddings p),
+r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY distance, vec_id)::INTEGER AS rank FROM d)
+SELECT query_id, rank, vec_id, distance FROM r WHERE rank <= 10
+"""
+
+SQL: dict[str, str] = {"op4_winnowing_decontamination": OP4_SQL, "op6_multi_index_hashing": OP6_SQL}
