@@ -5,6 +5,324 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from .functions.vectors import METRICS
+from .operators import forest as fo
+from .operators import measures as me
+from .operators import search as se
+from .operators.projection import directions, packed, project
+from .plans import oracle as sql
+from .plans import published
+from .plans.config import ForestParams
+from .sources import tables as ta
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
+
+P = ForestParams(trees=16, depth=4, seed=42)
+VOTES, K = 2, 10
+DENSE = P.but(trees=8, depth=3, density=1.0)
+D = 64
+
+
+def query(text: str | None = None, name: str | None = None):
+    """Registers a query, with its SQL where there is one."""
+    def put(f):
+        QUERIES[name or f.__name__] = f
+        if text:
+            SQL[name or f.__name__] = text
+        return f
+
+    return put
+
+
+def setting(spark: SparkSession, sf_dir: str, p: ForestParams = P):
+    """(points, queries, forest) of the standard workload: embeddings, a hundred held out."""
+    points, queries = ta.hold_out(ta.embeddings(spark, sf_dir))
+    return points, queries, fo.build_forest(points, p)
+
+
+# ---- directions and projections -------------------------------------------------------------
+
+for _name, _p in {
+    "directions_sparse": P, "directions_dense": P.but(density=1.0), "directions_ternary": P.but(components="ternary"),
+    "directions_very_sparse": P.but(components="very_sparse"), "directions_exact_nnz": P.but(nnz="exact"),
+}.items():
+    query(sql.with_ctes(sql.directions(_p, D), "SELECT tree, level, dim, weight FROM dirs"), _name)(lambda spark, sf_dir, p=_p: directions(spark, p, D).select("tree", "level", "dim", "weight"))
+
+_PROJ_SQL = sql.with_ctes(sql.held_out(), sql.directions(P, D), sql.projections(P), "SELECT id, tree, level, value FROM proj")
+
+
+@query(_PROJ_SQL)
+def projection_matrix(spark, sf_dir, engine="native"):
+    points, _ = ta.hold_out(ta.embeddings(spark, sf_dir))
+    out = project(points, packed(directions(spark, P, D)), P, D, engine)
+    return out.select("id", F.posexplode("proj").alias("at", "value")).select("id", F.expr(f"int(at div {P.depth})").alias("tree"), F.expr(f"int(at % {P.depth})").alias("level"), "value")
+
+
+query(_PROJ_SQL, "projection_matrix_arrow")(lambda spark, sf_dir: projection_matrix(spark, sf_dir, "arrow"))
+query(_PROJ_SQL, "projection_matrix_relational")(lambda spark, sf_dir: projection_matrix(spark, sf_dir, "relational"))
+
+# ---- forests ---------------------------------------------------------------------------------
+
+_SPLITS = sql.with_ctes(*sql.forest(P), sql.all_splits(P) + " SELECT tree, level, node, round(threshold, 9) AS threshold FROM splits")
+
+
+def _splits(spark, sf_dir, p):
+    return setting(spark, sf_dir, p)[2].split_table().withColumn("threshold", F.round("threshold", 9))
+
+
+for _name, _b in {"splits_level": "level_exact", "splits_tree_local": "tree_local", "splits_sampled": "sample"}.items():
+    query(_SPLITS, _name)(lambda spark, sf_dir, b=_b: _splits(spark, sf_dir, P.but(build=b)))
+query(None, "splits_sketch")(lambda spark, sf_dir: _splits(spark, sf_dir, P.but(build="level_sketch")))
+
+_CODES = "SELECT id, tree, node AS leaf FROM n%d" % P.depth
+
+
+@query(sql.with_ctes(*sql.forest(P), _CODES))
+def leaf_codes(spark, sf_dir):
+    return setting(spark, sf_dir)[2].postings().select("id", "tree", "leaf")
+
+
+@query(sql.with_ctes(*sql.forest(P), "SELECT tree, min(c) AS smallest, max(c) AS largest, count(*) AS leaves, sum(c)::BIGINT AS points FROM (SELECT tree, node, count(*) AS c FROM n4 GROUP BY ALL) GROUP BY tree"))
+def leaf_balance(spark, sf_dir):
+    return me.leaf_balance(setting(spark, sf_dir)[2])
+
+
+_F = P.but(trees=4, split="fractile")
+
+
+@query(sql.with_ctes(*sql.forest(_F), "SELECT id, tree, node AS leaf FROM n4"))
+def splits_fractile(spark, sf_dir):
+    return setting(spark, sf_dir, _F)[2].postings().select("id", "tree", "leaf")
+
+
+_R = P.but(trees=4, depth=3, tie="rank")
+
+
+@query(sql.with_ctes(*sql.forest(_R), "SELECT id, tree, node AS leaf FROM n3"))
+def splits_rank_ties(spark, sf_dir):
+    return setting(spark, sf_dir, _R)[2].postings().select("id", "tree", "leaf")
+
+
+_N = P.but(trees=4, depth=2, density=1.0, direction_scope="node")
+
+
+@query(sql.with_ctes(*sql.forest(_N), "SELECT id, tree, node AS leaf FROM n2"))
+def per_node_forest(spark, sf_dir):
+    return setting(spark, sf_dir, _N)[2].postings().select("id", "tree", "leaf")
+
+
+# ---- votes and searches -------------------------------------------------------------------------
+
+_VOTES = sql.votes(P)
+
+
+@query(sql.with_ctes(*sql.forest(P), *sql.routes(P), "SELECT qid, tree, node AS leaf FROM q4"))
+def route_queries(spark, sf_dir):
+    _, queries, forest = setting(spark, sf_dir)
+    return se.route(queries, forest)
+
+
+@query(sql.with_ctes(*_VOTES, "SELECT qid, id, votes FROM votes"))
+def vote_counts(spark, sf_dir):
+    _, queries, forest = setting(spark, sf_dir)
+    return se.candidates(queries, forest, 1)
+
+
+query(sql.with_ctes(*_VOTES, "SELECT qid, id FROM votes"), "defeatist_candidates")(lambda spark, sf_dir: vote_counts(spark, sf_dir).select("qid", "id"))
+
+
+@query(sql.with_ctes(*_VOTES, f"SELECT qid, id, votes FROM votes WHERE votes >= {VOTES + 2}"))
+def vote_candidates(spark, sf_dir):
+    _, queries, forest = setting(spark, sf_dir)
+    return se.candidates(queries, forest, VOTES + 2)
+
+
+query(SQL["vote_candidates"], "vote_candidates_scan")(lambda spark, sf_dir: (lambda s: se.candidates(s[1], s[2], VOTES + 2, "scan"))(setting(spark, sf_dir)))
+
+
+def _search(p: ForestParams, votes: int, k: int = K, **options):
+    def run(spark, sf_dir):
+        _, queries, forest = setting(spark, sf_dir, p)
+        return se.approximate_knn(queries, forest, k, votes, **options).select("qid", "rank", "id", "distance")
+
+    return run
+
+
+for _name, _p, _v, _o in (
+    ("voting_knn", P, VOTES, {}), ("voting_knn_scan", P, VOTES, {"strategy": "scan"}), ("voting_knn_fused", P, VOTES, {"strategy": "fused"}),
+    ("voting_knn_v4", P, 4, {}), ("voting_knn_sparse_v1", P, 1, {}), ("dense_forest_knn", DENSE, 1, {}), ("classic_forest_knn", _N, 1, {}),
+    ("voting_knn_ternary", P.but(components="ternary"), VOTES, {}), ("voting_knn_very_sparse", P.but(components="very_sparse"), VOTES, {}),
+):
+    query(sql.with_ctes(*sql.knn(_p, _v, K), "SELECT qid, rank, id, distance FROM knn"), _name)(_search(_p, _v, **_o))
+
+query(sql.with_ctes(*sql.knn(P, 6, K), sql.shortfall(K, 1)), "shortfall_lower_votes")(_search(P, 6, shortfall="lower_votes"))
+query(sql.with_ctes(*sql.knn(P, 6, K), sql.shortfall(K, 0)), "shortfall_brute")(_search(P, 6, shortfall="brute"))
+
+
+@query(sql.with_ctes(*sql.knn(P, VOTES, K, "id IN (SELECT vec_id FROM embeddings WHERE label < 3)"), "SELECT qid, rank, id, distance FROM knn"))
+def filtered_knn(spark, sf_dir):
+    _, queries, forest = setting(spark, sf_dir)
+    some = ta.load(spark, sf_dir, "embeddings").where("label < 3").select(F.col("vec_id").alias("id"))
+    forest.points = forest.points.join(some, "id", "left_semi")
+    return se.approximate_knn(queries, forest, K, VOTES).select("qid", "rank", "id", "distance")
+
+
+@query(sql.with_ctes(*sql.self_join(P.but(trees=4), 2, 5), "SELECT qid, rank, id, distance FROM knn"))
+def knn_join(spark, sf_dir):
+    return se.knn_join(setting(spark, sf_dir, P.but(trees=4))[2], 5, 2).select("qid", "rank", "id", "distance")
+
+
+@query(sql.with_ctes(*sql.forest(P), *sql.routes(P), f"SELECT id, tree, node AS leaf FROM n{P.depth} UNION ALL SELECT qid, tree, node FROM q{P.depth}"))
+def insert_points(spark, sf_dir):
+    _, queries, forest = setting(spark, sf_dir)
+    return forest.insert(queries.select(F.col("qid").alias("id"), F.col("qvec").alias("vec"))).postings().select("id", "tree", "leaf")
+
+
+@query()
+def priority_leaves(spark, sf_dir):
+    _, queries, forest = setting(spark, sf_dir)
+    return se.route_with_neighbours(queries, forest, 2)
+
+
+for _k in (1, 10, 25, 100):
+    query(sql.with_ctes(*sql.brute(_k), "SELECT qid, rank, id, distance FROM truth"), f"brute_force_knn_{_k}")(lambda spark, sf_dir, k=_k: se.brute_force_knn(*ta.hold_out(ta.embeddings(spark, sf_dir)), k, engine="arrow"))
+query(SQL["brute_force_knn_10"], "brute_force_knn_native")(lambda spark, sf_dir: se.brute_force_knn(*ta.hold_out(ta.embeddings(spark, sf_dir)), 10))
+
+for _m in ("l1", "linf", "cosine"):
+    query(sql.with_ctes(*sql.brute(5, _m), "SELECT qid, rank, id, distance FROM truth"), f"brute_force_{_m}")(lambda spark, sf_dir, m=_m: se.brute_force_knn(*ta.hold_out(ta.embeddings(spark, sf_dir)), 5, metric=m))
+assert set(METRICS) >= {"l1", "linf", "cosine"}
+
+
+@query(sql.with_ctes(*sql.brute(10**9), "SELECT qid, id, distance FROM truth WHERE distance <= 1.2"))
+def within_radius(spark, sf_dir):
+    return se.within_radius(*ta.hold_out(ta.embeddings(spark, sf_dir)), 1.2)
+
+
+# ---- measures ----------------------------------------------------------------------------------
+
+_V4 = 4
+_BOTH = (*sql.knn(P, _V4, K), sql.truth(K))
+
+
+def _compared(spark, sf_dir, k=K):
+    points, queries, forest = setting(spark, sf_dir)
+    found = fo.materialised(se.approximate_knn(queries, forest, k, _V4), "found")
+    return found, fo.materialised(se.brute_force_knn(points, queries, k, "arrow"), "truth"), queries, forest
+
+
+_RECALL = "rec AS (SELECT h.id AS qid, coalesce(c.hits, 0)::BIGINT AS hits, round(coalesce(c.hits, 0) / 10.0, 6) AS recall FROM held h LEFT JOIN (SELECT qid, count(*) AS hits FROM knn SEMI JOIN truth USING (qid, id) GROUP BY qid) c ON c.qid = h.id)"
+
+
+@query(sql.with_ctes(*_BOTH, _RECALL, "SELECT qid, hits, recall FROM rec"))
+def recall_by_query(spark, sf_dir):
+    found, truth, queries, _ = _compared(spark, sf_dir)
+    return me.recall(found, truth, queries, K)
+
+
+query(sql.with_ctes(*_BOTH, _RECALL, "SELECT round(avg(recall), 6) AS recall FROM rec"), "recall_mean")(lambda spark, sf_dir: me.mean_recall(recall_by_query(spark, sf_dir)))
+
+
+@query(sql.with_ctes(*_BOTH, "last AS (SELECT qid, max(distance) AS last FROM truth GROUP BY qid)", "SELECT h.id AS qid, coalesce(c.hits, 0)::BIGINT AS hits, round(coalesce(c.hits, 0) / 10.0, 6) AS recall FROM held h LEFT JOIN (SELECT qid, count(*) AS hits FROM knn JOIN last USING (qid) WHERE distance <= last GROUP BY qid) c ON c.qid = h.id"))
+def recall_ties(spark, sf_dir):
+    found, truth, queries, _ = _compared(spark, sf_dir)
+    return me.recall(found, truth, queries, K, "distance")
+
+
+@query(sql.with_ctes(*_BOTH, "SELECT qid, round(sum(k.distance) / sum(t.distance), 6) AS ratio FROM knn k JOIN truth t USING (qid, rank) GROUP BY qid"))
+def distance_ratio(spark, sf_dir):
+    found, truth, _, _ = _compared(spark, sf_dir)
+    return me.distance_ratio(found, truth)
+
+
+@query(sql.with_ctes(*_BOTH, "SELECT round(avg(CASE WHEN k.id IS NULL THEN 0 ELSE 1 END), 6) AS hit_rate FROM (SELECT * FROM truth WHERE rank = 1) t LEFT JOIN knn k USING (qid, id)"))
+def hit_rate(spark, sf_dir):
+    found, truth, queries, _ = _compared(spark, sf_dir)
+    return me.hit_rate(found, truth, queries)
+
+
+@query(sql.with_ctes(*_VOTES, f"SELECT h.id AS qid, coalesce(c, 0)::BIGINT AS candidates, round(coalesce(c, 0) / (SELECT count(*) FROM pts)::DOUBLE, 6) AS fraction FROM held h LEFT JOIN (SELECT qid, count(*) AS c FROM votes WHERE votes >= {_V4} GROUP BY qid) v ON v.qid = h.id"))
+def candidate_stats(spark, sf_dir):
+    _, queries, forest = setting(spark, sf_dir)
+    return me.candidate_stats(se.candidates(queries, forest, _V4), queries, forest.n)
+
+
+@query(sql.with_ctes(*_VOTES, f"SELECT count(*) AS distance_evals FROM votes WHERE votes >= {_V4}"))
+def distance_evals(spark, sf_dir):
+    _, queries, forest = setting(spark, sf_dir)
+    return me.distance_evals(se.candidates(queries, forest, _V4))
+
+
+@query(sql.with_ctes(*_VOTES, sql.truth(K), "SELECT rank, round(avg(coalesce(votes, 0)), 6) AS mean_votes FROM truth LEFT JOIN votes USING (qid, id) GROUP BY rank"))
+def vote_profile(spark, sf_dir):
+    points, queries, forest = setting(spark, sf_dir)
+    return me.vote_profile(se.candidates(queries, forest, 1), se.brute_force_knn(points, queries, K, "arrow"))
+
+
+@query(sql.with_ctes(sql.held_out(), sql.directions(P, D), f"SELECT 'ids' AS part, {P.trees} * count(*) AS entries, {8 * P.trees} * count(*) AS bytes FROM pts UNION ALL SELECT 'splits', {P.trees * 15}, {P.trees * 15 * 8} UNION ALL SELECT 'directions', count(*), 12 * count(*) FROM dirs"))
+def index_size(spark, sf_dir):
+    return me.index_size(setting(spark, sf_dir)[2])
+
+
+@query(sql.cost_model(50_000, 4096, P.but(trees=100, depth=10)))
+def cost_model(spark, sf_dir):
+    return me.cost_model(spark, 50_000, 4096, P.but(trees=100, depth=10))
+
+
+_GRID = ([4, 8, 16], [2, 3, 4], [1, 2, 4, 8])
+
+
+@query(sql.grid(P, K, *_GRID))
+def grid_recall(spark, sf_dir):
+    points, queries, forest = setting(spark, sf_dir)
+    truth = fo.materialised(se.brute_force_knn(points, queries, K, "arrow"), "truth")
+    return me.grid_recall(forest, queries, truth, K, *_GRID)
+
+
+@query(f"WITH runs AS ({sql.grid(P, K, *_GRID)}) SELECT trees, depth, votes, recall, candidates FROM (SELECT *, max(recall) OVER (ORDER BY candidates, recall DESC, trees, depth, votes ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS best FROM runs) WHERE best IS NULL OR recall > best")
+def frontier_by_candidates(spark, sf_dir):
+    return me.frontier(fo.materialised(grid_recall(spark, sf_dir), "grid"), "candidates")
+
+
+# ---- the published table ---------------------------------------------------------------------------
+
+query(published.sql("SELECT method, wins, races FROM w", (0.90, 0.95, 0.99)), "win_counts_published")(lambda spark, sf_dir: me.win_counts(published.times(spark), (0.90, 0.95, 0.99)))
+query(published.sql("SELECT method, wins, races FROM w", (0.95, 0.99)), "win_counts_published_high")(lambda spark, sf_dir: me.win_counts(published.times(spark), (0.95, 0.99)))
+query(published.sql("SELECT dataset, level, method, round(base / seconds, 6) AS speedup FROM t JOIN (SELECT dataset, level, seconds AS base FROM t WHERE method = 'brute_force') USING (dataset, level) WHERE method <> 'brute_force'"), "speedup_published")(lambda spark, sf_dir: me.speedup(published.times(spark), "brute_force"))
+
+
+@query(published.sql("SELECT dataset, method, l AS level, min(seconds) FILTER (level >= l) AS seconds FROM t, (SELECT unnest([0.80, 0.90, 0.95, 0.99]::DOUBLE[]) AS l) GROUP BY ALL"))
+def time_to_recall_published(spark, sf_dir):
+    return me.time_to_recall(published.times(spark).withColumnRenamed("level", "recall"))
+
+
+@query()
+def pivot_times(spark, sf_dir):
+    return published.times(spark).groupBy("dataset", "level").pivot("method", list(published.METHODS)).agg(F.first("seconds"))
+
+
+# ---- workloads -----------------------------------------------------------------------------------
+
+for _name, _f, _t in (("user_profiles", ta.user_profiles, sql.USER_PROFILES), ("part_demand", ta.part_demand, sql.PART_DEMAND), ("customer_brand", ta.customer_brand, sql.CUSTOMER_BRAND), ("doc_bigrams", ta.letter_bigrams, None), ("page_features", ta.page_features, None)):
+    query(_t, _name)(lambda spark, sf_dir, f=_f: f(spark, sf_dir).select("id", F.transform("vec", lambda x: F.round(x, 4)).alias("vec")))
+
+_W = P.but(trees=16, depth=3)
+
+
+def _workload(f, k=K, votes=2):
+    def run(spark, sf_dir):
+        points = fo.materialised(f(spark, sf_dir), "vectors")
+        points, queries = ta.hold_out(points)
+        forest = fo.build_forest(points, _W)
+        found = fo.materialised(se.approximate_knn(queries, forest, k, votes, "auto"), "found")
+        rec = me.recall(found, se.brute_force_knn(points, queries, k, "arrow"), queries, k, "distance")
+        return rec.agg(F.count("*").alias("queries"), F.round(F.avg("recall"), 4).alias("recall"))
+
+    return run
+
+
+for _name, _f in {"users": ta.user_profiles, "parts": ta.part_demand, "customers": ta.customer_brand, "bigrams": ta.letter_bigrams, "pages": ta.page_features}.items():
+    query(None, f"voting_knn_{_name}")(_workload(_f))
+query(None, "voting_knn_words")(_workload(lambda spark, sf_dir: ta.word_counts(ta.load(spark, sf_dir, "documents"), "doc_id", "text", 256)))
