@@ -66,11 +66,11 @@ query(_PROJ_SQL, "projection_matrix_relational")(lambda spark, sf_dir: projectio
 
 # ---- forests ---------------------------------------------------------------------------------
 
-_SPLITS = sql.with_ctes(*sql.forest(P), sql.all_splits(P) + " SELECT tree, level, node, round(threshold, 9) AS threshold FROM splits")
+_SPLITS = sql.with_ctes(*sql.forest(P), sql.all_splits(P) + " SELECT tree, level, node, threshold FROM splits")
 
 
 def _splits(spark, sf_dir, p):
-    return setting(spark, sf_dir, p)[2].split_table().withColumn("threshold", F.round("threshold", 9))
+    return setting(spark, sf_dir, p)[2].split_table()
 
 
 for _name, _b in {"splits_level": "level_exact", "splits_tree_local": "tree_local", "splits_sampled": "sample"}.items():
