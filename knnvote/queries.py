@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions.vectors import METRICS
+from .operators import baselines as ba
 from .operators import forest as fo
 from .operators import measures as me
 from .operators import search as se
@@ -326,3 +327,73 @@ def _workload(f, k=K, votes=2):
 for _name, _f in {"users": ta.user_profiles, "parts": ta.part_demand, "customers": ta.customer_brand, "bigrams": ta.letter_bigrams, "pages": ta.page_features}.items():
     query(None, f"voting_knn_{_name}")(_workload(_f))
 query(None, "voting_knn_words")(_workload(lambda spark, sf_dir: ta.word_counts(ta.load(spark, sf_dir, "documents"), "doc_id", "text", 256)))
+
+# ---- comparison methods ------------------------------------------------------------------------------
+
+
+def _held(spark, sf_dir):
+    points, queries = ta.hold_out(ta.embeddings(spark, sf_dir))
+    return fo.materialised(points, "points"), fo.materialised(queries, "queries")
+
+
+def _neighbours(df: DataFrame) -> DataFrame:
+    return df.select("qid", "rank", "id", "distance")
+
+
+@query(SQL["brute_force_knn_10"])
+def kd_tree_knn(spark, sf_dir):
+    points, queries = _held(spark, sf_dir)
+    return _neighbours(ba.axis_forest(points, depth=4).search_bounded(queries, K, 0.0))
+
+
+@query()
+def kd_tree_knn_eps(spark, sf_dir):
+    points, queries = _held(spark, sf_dir)
+    return _neighbours(ba.axis_forest(points, depth=4).search_bounded(queries, K, 1.0))
+
+
+@query()
+def kd_forest_knn(spark, sf_dir):
+    points, queries = _held(spark, sf_dir)
+    return _neighbours(ba.axis_forest(points, 4, 4, top_dims=5).search(queries, K, 16))
+
+
+@query()
+def kd_forest_voting_knn(spark, sf_dir):
+    points, queries = _held(spark, sf_dir)
+    return _neighbours(ba.axis_forest(points, 4, 4, top_dims=5).search(queries, K, 24, votes=2))
+
+
+@query()
+def kmeans_tree_knn(spark, sf_dir):
+    points, queries = _held(spark, sf_dir)
+    return _neighbours(ba.kmeans_tree(points, 4, 2).search(queries, K, 6))
+
+
+@query()
+def cross_polytope_knn(spark, sf_dir):
+    points, queries = _held(spark, sf_dir)
+    return _neighbours(ba.cross_polytope(points, 10).search(queries, K, 50))
+
+
+@query()
+def cross_polytope_single_probe(spark, sf_dir):
+    points, queries = _held(spark, sf_dir)
+    return _neighbours(ba.cross_polytope(points, 10).search(queries, K))
+
+
+@query()
+def knn_graph_build(spark, sf_dir):
+    return ba.knn_graph(_held(spark, sf_dir)[0], 10).edges
+
+
+@query()
+def knn_graph_search(spark, sf_dir):
+    points, queries = _held(spark, sf_dir)
+    return _neighbours(ba.knn_graph(points, 10).search(queries, K, 50))
+
+
+@query()
+def ml_lsh_knn(spark, sf_dir):
+    points, queries = _held(spark, sf_dir)
+    return ba.ml_lsh(points, queries, K, 1.4)
