@@ -15,7 +15,7 @@ from .common import blocks_of, crc_mod, seeded_hash, small_batches
 SIZES = (3, 4, 5, 6, 7)  # bytes of a lower-cased word with its borders
 BITS = 20  # n-grams hash into 2**BITS buckets
 SAMPLE = 6_000  # labelled texts that fit the model, at most; a third of them toxic where there are so many
-SAMPLE_BYTES = 60_000_000  # and their texts together, at most
+SAMPLE_BYTES = 30_000_000  # and their texts together, at most
 THRESHOLD = 0.7
 BLOCK = 1 << 18  # bytes hashed at a time
 
@@ -85,20 +85,20 @@ def fit(texts: list[bytes], labels: np.ndarray, least: int = 3, z: float = 2.5,
     n1, n0 = y.sum(), len(y) - y.sum()
     if not n1 or not n0:
         return Model(weights, float(np.log((n1 + 1) / (n0 + 1))))
-    counts = np.zeros((2, 2**BITS))
+    counts = np.zeros((2, 2**BITS), np.int32)
     mark = np.zeros(2**BITS, bool)
-    grams = [_present(t, mark) for t in texts]
-    for g, c in zip(grams, labels, strict=True):
-        counts[int(c), g] += 1
+    for t, c in zip(texts, labels, strict=True):
+        counts[int(c), _present(t, mark)] += 1
     p1, p0 = counts[1] + 0.5, counts[0] + 0.5
     ratio = np.log(p1 / (n1 + 1)) - np.log(p0 / (n0 + 1))
     error = np.sqrt(1 / p1 - 1 / (n1 + 1) + 1 / p0 - 1 / (n0 + 1))
     chosen = np.flatnonzero((counts.sum(0) >= least) & (np.abs(ratio) > z * error))
     column = np.full(2**BITS, -1, np.int64)
     column[chosen] = np.arange(len(chosen))
-    cols = [c[c >= 0] for c in (column[g] for g in grams)]
-    row = np.repeat(np.arange(len(cols)), [len(c) for c in cols])
-    col = np.concatenate(cols) if cols else np.zeros(0, np.int64)
+    # a second look at the texts keeps the chosen n-grams alone in memory
+    cols = [c[c >= 0].astype(np.int32) for c in (column[_present(t, mark)] for t in texts)]
+    row = np.repeat(np.arange(len(cols), dtype=np.int32), [len(c) for c in cols])
+    col = np.concatenate(cols) if cols else np.zeros(0, np.int32)
     r = ratio[chosen]
     balance = np.where(y == 1, 0.5 * len(y) / n1, 0.5 * len(y) / n0)
     w, bias = np.zeros(len(chosen)), 0.0
