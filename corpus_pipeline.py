@@ -18,8 +18,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document of the least id of each SimHash group over five-word shingles."""
-    return simhash.one_of_each(docs, shingle=5, radius=simhash.RADIUS)
+    """Keeps the document of the least id of each group: SimHash links over five-word shingles, and links of similarity 0.8 or more."""
+    return simhash.one_of_each(docs, shingle=5, radius=simhash.RADIUS, similarity=0.8)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterable, Iterator
+
 import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import similar
 from .common import settle, small_batches
 from .components import connected_components
 
@@ -21,32 +24,53 @@ LEAF = 1024  # residents below which a shard compares in blocks
 
 # ---- fingerprints -------------------------------------------------------------------------
 
-def fingerprint(text: bytes | None, shingle: int = SHINGLE) -> int:
-    """64-bit SimHash of a text's word shingles; 0 without words. A bit is set if over half of the hashes have it."""
+def shingle_hashes(text: bytes | None, shingle: int = SHINGLE) -> Iterator[bytes]:
+    """XXH64 digests of a text's word shingles, repeats included, in blocks; one of the whole sequence where it is shorter."""
     words = text.lower().split() if text else []
-    if not words:
-        return 0
-    if len(words) <= shingle:
-        return xxhash.xxh64_intdigest(b" ".join(words), 42)
+    if words and len(words) <= shingle:
+        yield xxhash.xxh64_digest(b" ".join(words), 42)
+        return
     digest, n = xxhash.xxh64_digest, len(words) - shingle + 1
-    ones = np.zeros(64, np.int64)
     for at in range(0, n, 1 << 16):
         part = words[at : at + (1 << 16) + shingle - 1]
-        raw = b"".join([digest(b" ".join(t), 42) for t in zip(*(part[i:] for i in range(shingle)), strict=False)])
+        yield b"".join([digest(b" ".join(t), 42) for t in zip(*(part[i:] for i in range(shingle)), strict=False)])
+
+
+def fingerprint(text: bytes | None, shingle: int = SHINGLE) -> int:
+    """64-bit SimHash of a text's word shingles; 0 without words. A bit is set if over half of the hashes have it."""
+    return _majority(shingle_hashes(text, shingle))
+
+
+def _majority(blocks: Iterable[bytes]) -> int:
+    ones, n = np.zeros(64, np.int64), 0
+    for raw in blocks:
         ones += np.unpackbits(np.frombuffer(raw, np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
+        n += len(raw) // 8
     return int.from_bytes(np.packbits(2 * ones > n).tobytes(), "big")
 
 
-def with_fingerprint(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = SHINGLE) -> DataFrame:
-    """(doc_id, fp long): one narrow row per document. Null and blank texts have fingerprint 0."""
+def with_fingerprint(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = SHINGLE, sketch: bool = False) -> DataFrame:
+    """(doc_id, fp long): one narrow row per document. Null and blank texts have fingerprint 0.
+
+    With `sketch`, also the min-hash band keys and the minima's low bytes; texts without words have none.
+    """
     small_batches(docs.sparkSession)
 
     def run(batches):
         for b in batches:
-            fps = np.array([fingerprint(None if t is None else memoryview(t).tobytes(), shingle) for t in b.column(1).to_pylist()], np.uint64)
-            yield pa.record_batch([b.column(0), pa.array(fps.view(np.int64))], names=["doc_id", "fp"])
+            fps, keys, least = [], [], []
+            for t in b.column(1).to_pylist():
+                blocks = list(shingle_hashes(None if t is None else memoryview(t).tobytes(), shingle))
+                fps.append(_majority(blocks))
+                if sketch:
+                    m = similar.minima(np.frombuffer(b"".join(blocks), "<u8")) if blocks else None
+                    keys.append([] if m is None else similar.band_keys(m))
+                    least.append(b"" if m is None else m.astype(np.uint8).tobytes())
+            more = [pa.array(keys, pa.list_(pa.int64())), pa.array(least, pa.binary())] if sketch else []
+            yield pa.record_batch([b.column(0), pa.array(np.array(fps, np.uint64).view(np.int64)), *more], names=["doc_id", "fp", "keys", "least"][: 2 + len(more)])
 
-    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("t")).mapInArrow(run, "doc_id long, fp long")
+    schema = "doc_id long, fp long" + (", keys array<bigint>, least binary" if sketch else "")
+    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("t")).mapInArrow(run, schema)
 
 
 # ---- vantage-point tree -------------------------------------------------------------------
@@ -207,27 +231,34 @@ def near_links(points: DataFrame, radius: int = RADIUS, shard_rows: int = SHARD_
     return dealt.groupBy("shard").applyInArrow(links, "a long, b long")
 
 
-def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = SHINGLE, radius: int = RADIUS) -> DataFrame:
+def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = SHINGLE, radius: int = RADIUS, similarity: float | None = None) -> DataFrame:
     """(doc_id, fp, component_id) for every row of docs.
 
     component_id is the smallest doc_id reachable over links of at most `radius` bits. Null and
     blank texts have fingerprint 0 and link like others. Repeated rows each keep their row. A row
     whose doc_id is null takes no part in links: its component_id is null. An empty table gives
-    an empty result. Further columns of docs are ignored.
+    an empty result. Further columns of docs are ignored. With `similarity`, texts whose shingles
+    have at least that Jaccard similarity link too: min-hash bands propose them, the texts confirm them.
     """
-    fps = settle(with_fingerprint(docs, doc_id, text, shingle), "fingerprints")
+    fps = settle(with_fingerprint(docs, doc_id, text, shingle, similarity is not None), "fingerprints")
     groups = settle(fps.where("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("node")), "groups")
-    label = connected_components(settle(near_links(groups, radius), "links"))
+    links = near_links(groups, radius)
+    if similarity is not None:
+        # one text stands for those of its fingerprint
+        named = fps.where("size(keys) > 0").select(F.col("doc_id").alias("node"), "fp", "keys", "least")
+        sketches = settle(named.join(groups, ["node", "fp"], "left_semi").groupBy("node").agg(F.min_by("keys", "least").alias("keys"), F.min("least").alias("least")), "sketches")
+        links = links.unionByName(similar.confirmed(similar.candidates(sketches, similarity), docs, similarity, shingle, doc_id, text))
+    label = connected_components(settle(links, "links"))
     classes = groups.join(label, "node", "left").select("fp", F.coalesce("component", "node").alias("component_id"))
     return fps.join(classes, "fp", "left").select("doc_id", "fp", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
 
 
-def one_of_each(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS) -> DataFrame:
+def one_of_each(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS, similarity: float | None = None) -> DataFrame:
     """The rows of docs that represent their near-duplicate group; rows without an id all stay.
 
     Repeated rows of one id count as copies: the one with the least text stays.
     """
-    found = settle(near_duplicates(docs, shingle=shingle, radius=radius), "members")
+    found = settle(near_duplicates(docs, shingle=shingle, radius=radius, similarity=similarity), "members")
     keep = found.where("doc_id = component_id").select("doc_id").distinct()
     repeated = found.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count() > 0
     kept = docs.join(keep, "doc_id", "left_semi")

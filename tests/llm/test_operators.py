@@ -51,6 +51,20 @@ def test_near_duplicates_edges(spark):
     assert simhash.near_duplicates(docs(spark, [])).count() == 0
 
 
+def test_similar_texts_link(spark):
+    rng = np.random.default_rng(8)
+    base = [[f"w{x}" for x in rng.integers(0, 5000, 150)] for _ in range(30)]
+    near = [[*b[:70], "new", *b[71:]] for b in base]
+    far = [[*b[:75], *(f"v{x}" for x in rng.integers(0, 5000, 75))] for b in base]
+    many = [[*base[0][:k], "other", *base[0][k + 1 :]] for k in range(20, 120)]
+    texts = [" ".join(t) for t in (*base, *near, *far, *many)]
+    got = {r.doc_id: r.component_id for r in simhash.near_duplicates(docs(spark, texts), shingle=5, similarity=0.8).collect()}
+    assert all(got[i] == got[30 + i] == i and got[60 + i] == 60 + i for i in range(30)) and {got[i] for i in range(90, 190)} == {0}
+    odd = simhash.one_of_each(docs(spark, [*ODD, *texts[:1], *texts[30:31]]), shingle=5, similarity=0.8).collect()
+    assert {r.doc_id for r in odd} == {0, 3, 4, 5, 6, 8, 9, 10}
+    assert simhash.one_of_each(docs(spark, []), shingle=5, similarity=0.8).count() == 0
+
+
 def _windows(words, n):
     return [tuple(words[i : i + n]) for i in range(len(words) - n + 1)]
 
