@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -15,8 +16,10 @@ from .operators import search as se
 from .operators.projection import directions, packed, project
 from .plans import oracle as sql
 from .plans import published
+from .plans import surface as su
 from .plans.config import ForestParams
 from .sources import tables as ta
+from .streaming import profiles as sp
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -397,3 +400,48 @@ def knn_graph_search(spark, sf_dir):
 def ml_lsh_knn(spark, sf_dir):
     points, queries = _held(spark, sf_dir)
     return ba.ml_lsh(points, queries, K, 1.4)
+
+# ---- events, runs and streams --------------------------------------------------------------------------
+
+
+def _events(spark, sf_dir):
+    return ta.load(spark, sf_dir, "events")
+
+
+query(su.TUMBLING, "tumbling_profiles")(lambda spark, sf_dir: sp.profiles(_events(spark, sf_dir), "tumbling"))
+query(su.SLIDING, "sliding_profiles")(lambda spark, sf_dir: sp.profiles(_events(spark, sf_dir), "sliding", "event_type"))
+query(su.SESSION, "session_profiles")(lambda spark, sf_dir: sp.profiles(_events(spark, sf_dir), "session"))
+query(su.FOLLOWED, "interval_join")(lambda spark, sf_dir: sp.followed(_events(spark, sf_dir)))
+
+
+@query(su.AS_OF)
+def asof_profile(spark, sf_dir):
+    e = _events(spark, sf_dir)
+    return sp.as_of(e.where("event_type = 'purchase'").select("event_id", "user_id", "ts"), e.where("event_type = 'view'"), "user_id", "ts", ["event_id", "value"]).drop("ts")
+
+
+@query(su.JSON)
+def json_props(spark, sf_dir):
+    k = F.get_json_object("props", "$.k").cast("long")
+    return _events(spark, sf_dir).groupBy("event_type").agg(F.sum(k).alias("total"), F.count(k).alias("known"))
+
+
+@query(su.ROLLUP)
+def rollup_runs(spark, sf_dir):
+    return published.times(spark).rollup("dataset", "method").agg(F.count("seconds").alias("reached"), F.round(F.sum("seconds"), 6).alias("seconds"))
+
+
+@query(sql.with_ctes(*_BOTH, su.SETS.format(both="")))
+def set_ops_recall(spark, sf_dir):
+    found, truth, _, _ = _compared(spark, sf_dir)
+    a, t = found.select("qid", "id"), truth.select("qid", "id")
+    return a.intersect(t).select(F.lit("found").alias("kind"), "qid", "id").unionByName(t.subtract(a).select(F.lit("missed").alias("kind"), "qid", "id"))
+
+
+def _stream_folder(spark):
+    return f"{fo.shared_folder(spark)}/streams/{uuid.uuid4().hex}"
+
+
+query(su.FOLLOWED, "stream_interval_join")(lambda spark, sf_dir: sp.collected(sp.followed(sp.event_stream(spark, sf_dir)), _stream_folder(spark)))
+query(su.TUMBLING, "stream_tumbling_profiles")(lambda spark, sf_dir: sp.collected(sp.profiles(sp.event_stream(spark, sf_dir), "tumbling"), _stream_folder(spark), "complete"))
+query(None, "stream_running_vectors")(lambda spark, sf_dir: sp.collected(sp.running_vectors(sp.event_stream(spark, sf_dir)), _stream_folder(spark), "update"))
