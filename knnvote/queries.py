@@ -10,10 +10,12 @@ from pyspark.sql import functions as F
 
 from .functions.vectors import METRICS
 from .operators import baselines as ba
+from .operators import experiments as ex
 from .operators import forest as fo
 from .operators import measures as me
 from .operators import search as se
 from .operators.projection import directions, packed, project
+from .operators.reduction import singular_basis
 from .plans import oracle as sql
 from .plans import published
 from .plans import surface as su
@@ -401,6 +403,129 @@ def ml_lsh_knn(spark, sf_dir):
     points, queries = _held(spark, sf_dir)
     return ba.ml_lsh(points, queries, K, 1.4)
 
+
+# ---- experiments -----------------------------------------------------------------------------------------
+
+_WORDS, _TOPICS = 512, 100
+
+
+def _document_words(spark, sf_dir):
+    return fo.materialised(ta.word_counts(ta.load(spark, sf_dir, "documents"), "doc_id", "text", _WORDS), "words")
+
+
+def reduced_words(spark, sf_dir):
+    """Documents as weighted word counts on their leading singular vectors."""
+    words = _document_words(spark, sf_dir)
+    return singular_basis(words, _TOPICS).reduced(words)
+
+
+def _trigrams(table: str, key: str, text: str, d: int):
+    return lambda spark, sf_dir: ta.char_ngrams(ta.load(spark, sf_dir, table).select(key, text), key, text, d)
+
+
+for _name, _f in {"reduced_words": reduced_words, "page_trigrams": _trigrams("pages", "page_id", "html", 4096), "document_trigrams": _trigrams("documents", "doc_id", "text", 9216)}.items():
+    query(None, f"voting_knn_{_name}")(_workload(_f))
+
+
+@query()
+def singular_values(spark, sf_dir):
+    values = singular_basis(_document_words(spark, sf_dir), _TOPICS).values
+    return spark.createDataFrame([(i + 1, round(float(x), 4)) for i, x in enumerate(values)], "nth int, value double")
+
+
+def _look_up(table: str, key: str):
+    """Texts from another table against the documents, all in the space of the documents; repeated keys are one query."""
+    def run(spark, sf_dir):
+        docs = ta.load(spark, sf_dir, "documents").select(F.col("doc_id").alias("k"), "text")
+        asked = ta.load(spark, sf_dir, table).groupBy(F.col(key).alias("k")).agg(F.concat_ws(" ", F.array_sort(F.collect_list("text"))).alias("text"))
+        words = _document_words(spark, sf_dir)
+        basis = singular_basis(words, _TOPICS)
+        forest = fo.build_forest(fo.materialised(basis.reduced(words), "vectors"), _W)
+        queries = ta.word_counts(asked, "k", "text", _WORDS, base=docs)
+        queries = fo.materialised(basis.reduced(queries).select(F.col("id").alias("qid"), F.col("vec").alias("qvec")), "queries")
+        found = fo.materialised(se.approximate_knn(queries, forest, K, 2, "auto"), "found")
+        rec = me.recall(found, se.brute_force_knn(forest.points, queries, K, "arrow"), queries, K, "distance")
+        return rec.agg(F.count("*").alias("queries"), F.round(F.avg("recall"), 4).alias("recall"))
+
+    return run
+
+
+query(None, "look_up_benchmark")(_look_up("benchmark", "item_id"))
+query(None, "look_up_conversations")(_look_up("conversations", "conv_id"))
+
+_TREES, _DEPTHS, _LEVELS = [4, 8, 16], [2, 3, 4], [1, 2, 3, 4, 6, 8]
+_ROW = "trees, depth, votes, recall, candidates"
+
+
+def _grid(spark, sf_dir, p: ForestParams, k: int, votes: list[int]) -> DataFrame:
+    points, queries, forest = setting(spark, sf_dir, p)
+    truth = fo.materialised(se.brute_force_knn(points, queries, k, "arrow"), "truth")
+    return me.grid_recall(forest, queries, truth, k, _TREES, _DEPTHS, votes)
+
+
+def _union(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for x in parts[1:]:
+        out = out.unionByName(x)
+    return out
+
+
+def _sql_union(kind: str, grids: dict[object, str]) -> str:
+    return " UNION ALL ".join(f"SELECT {v} AS {kind}, {_ROW} FROM ({g})" for v, g in grids.items())
+
+
+_KS = (1, 10, 25, 100)
+query(_sql_union("k", {k: sql.grid(P, k, _TREES, _DEPTHS, _LEVELS) for k in _KS}), "k_sweep")(lambda spark, sf_dir: _union([_grid(spark, sf_dir, P, k, _LEVELS).withColumn("k", F.lit(k)) for k in _KS]))
+
+_SHARES = {f"{x}::DOUBLE": P.but(density=x) for x in (round(1 / D, 6), 0.1, 0.125, round(1 / 3, 6), 1.0)}
+query(_sql_union("density", {x: sql.grid(p, K, _TREES, _DEPTHS, _LEVELS) for x, p in _SHARES.items()}), "density_study")(lambda spark, sf_dir: _union([_grid(spark, sf_dir, p, K, _LEVELS).withColumn("density", F.lit(p.density)) for p in _SHARES.values()]))
+
+_STEPS = {"dense_forest": (P.but(density=1.0), [1]), "sparse_forest": (P, [1]), "voting_forest": (P, _LEVELS)}
+_ABLATION = _sql_union("method", {f"'{m}'": sql.grid(p, K, _TREES, _DEPTHS, v) for m, (p, v) in _STEPS.items()})
+
+
+def _ablation(spark, sf_dir):
+    return _union([_grid(spark, sf_dir, p, K, v).withColumn("method", F.lit(m)) for m, (p, v) in _STEPS.items()])
+
+
+query(_ABLATION, "ablation")(_ablation)
+
+
+@query(f"WITH r AS ({_ABLATION}), t AS (SELECT l AS level, min(candidates) FILTER (method = 'dense_forest' AND recall >= l) AS d, min(candidates) FILTER (method = 'sparse_forest' AND recall >= l) AS s, min(candidates) FILTER (method = 'voting_forest' AND recall >= l) AS v FROM r, (SELECT unnest([0.80, 0.90, 0.95, 0.99]::DOUBLE[]) AS l) GROUP BY l) SELECT 'sphere' AS dataset, level, round(d / s, 4) AS sparsity_gain, round(s / v, 4) AS voting_gain FROM t")
+def ablation_gains(spark, sf_dir):
+    return ex.gains(_ablation(spark, sf_dir).select(F.lit("sphere").alias("dataset"), "method", "recall", F.col("candidates").alias("evals")))
+
+
+_WORKLOADS = {"sphere": ta.embeddings, "bigrams": ta.letter_bigrams, "reduced_words": reduced_words, "parts": ta.part_demand}
+
+
+def _compare(name: str):
+    def run(spark, sf_dir):
+        points, queries = ta.hold_out(fo.materialised(_WORKLOADS[name](spark, sf_dir), "vectors"))
+        return ex.cost_to_recall(ex.compare(name, points, queries, K, P))
+
+    return run
+
+
+for _name in _WORKLOADS:
+    query(None, f"cost_to_recall_{_name}")(_compare(_name))
+
+_LABELS = "SELECT vec_id AS id, label FROM embeddings"
+
+
+@query(sql.with_ctes(*sql.knn(P, VOTES, K), f"c AS (SELECT qid, label, count(*) AS n FROM knn JOIN ({_LABELS}) USING (id) GROUP BY ALL)", "SELECT qid, label, share FROM (SELECT qid, label, round(n / sum(n) OVER (PARTITION BY qid), 6) AS share, row_number() OVER (PARTITION BY qid ORDER BY n DESC, label) AS nth FROM c) WHERE nth = 1"))
+def classify_by_neighbours(spark, sf_dir):
+    _, queries, forest = setting(spark, sf_dir)
+    return se.classify(se.approximate_knn(queries, forest, K, VOTES), ta.load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), "label"))
+
+
+@query(sql.with_ctes(*sql.knn(P, VOTES, K), f"c AS (SELECT qid, label AS item, round(sum(1 / (1 + distance)), 6) AS score FROM knn JOIN ({_LABELS}) USING (id) GROUP BY ALL)", "SELECT qid, rank, item, score FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY score DESC, item) AS rank FROM c) WHERE rank <= 3"))
+def recommend_by_neighbours(spark, sf_dir):
+    _, queries, forest = setting(spark, sf_dir)
+    items = ta.load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("label").alias("item"), F.lit(1.0).alias("weight"))
+    return se.recommend(se.approximate_knn(queries, forest, K, VOTES), items, 3)
+
+
 # ---- events, runs and streams --------------------------------------------------------------------------
 
 

@@ -12,6 +12,9 @@ from ..plans.config import VectorSchemaError
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 
 
+WIDE = 1024  # dimensions beyond which vectors are filled in Arrow blocks
+
+
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -100,11 +103,34 @@ def gaussian_sphere(spark: SparkSession, n: int, d: int, seed: int = 42, partiti
 def histogram(rows: DataFrame, key: str, bucket: str, value: str, d: int) -> DataFrame:
     """(id, vec): the sum of value in each of d buckets of a key; buckets without rows are 0."""
     sums = rows.groupBy(key, bucket).agg(F.sum(value).alias("v"))
+    if d > WIDE:
+        held = sums.groupBy(F.col(key).alias("id")).agg(F.collect_list(F.struct(F.col(bucket).cast("int").alias("b"), F.col("v").cast("float").alias("v"))).alias("m"))
+        return held.select("id", F.col("m.b").alias("b"), F.col("m.v").alias("v")).mapInArrow(_spread(d), "id long, vec array<float>")
     held = sums.groupBy(F.col(key).alias("id")).agg(F.map_from_entries(F.collect_list(F.struct(bucket, "v"))).alias("m"))
     # built-in expressions alone: the map is read once for each of the d places
     return held.select("id", F.transform(F.sequence(F.lit(0), F.lit(d - 1)), lambda i: F.coalesce(F.try_element_at("m", i.cast("int")), F.lit(0.0)).cast("double")).alias("vec"))
 
 
+def _spread(d: int):
+    """Blocks of sparse rows (id, b, v) as dense vectors of d places: a place is written once, whatever d is."""
+    import numpy as np
+    import pyarrow as pa
+
+    rows = max(1, (1 << 22) // d)  # 16 MB of floats a batch
+
+    def run(batches):
+        for whole in batches:
+            for at in range(0, whole.num_rows, rows):
+                b = whole.slice(at, rows)
+                lengths = np.diff(b.column(1).offsets.to_numpy())
+                x = np.zeros((b.num_rows, d), np.float32)
+                x[np.repeat(np.arange(b.num_rows), lengths), b.column(1).flatten().to_numpy()] = b.column(2).flatten().to_numpy()
+                vec = pa.ListArray.from_arrays(pa.array(np.arange(0, x.size + 1, d, dtype=np.int32)), pa.array(x.ravel()))
+                yield pa.record_batch([b.column(0).cast(pa.int64()), vec], names=["id", "vec"])
+
+    return run
+
+
 def user_profiles(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events by user: 5 types x 24 hours."""
     e = load(spark, sf_dir, "events")
@@ -142,17 +168,35 @@ def _bucket(gram: str, d: int) -> Column:
     return (F.conv(F.substring(F.md5(gram), 1, 8), 16, 10).cast("long") % d).cast("int")
 
 
-def word_counts(docs: DataFrame, id_col: str, text_col: str, d: int, idf: bool = True) -> DataFrame:
-    """(id, vec): hashed word counts in d buckets, weighted by the log of documents over documents with the bucket, at length 1."""
+def _word_buckets(docs: DataFrame, id_col: str, text_col: str, d: int) -> DataFrame:
     words = docs.select(F.col(id_col).alias("u"), F.explode(F.regexp_extract_all(F.lower(text_col), F.lit("[a-z]+"), F.lit(0))).alias("g"))
-    counts = words.groupBy("u", _bucket("g", d).alias("b")).agg(F.count("*").cast("double").alias("v"))
+    return words.groupBy("u", _bucket("g", d).alias("b")).agg(F.count("*").cast("double").alias("v"))
+
+
+def word_counts(docs: DataFrame, id_col: str, text_col: str, d: int, idf: bool = True, base: DataFrame | None = None) -> DataFrame:
+    """(id, vec): hashed word counts in d buckets, weighted by the log of documents over documents with the bucket, at length 1.
+
+    base: the documents (of the same two columns) that give the weights, where they are not docs: queries from
+    elsewhere then lie in the space of base. A bucket that base lacks has no weight.
+    """
+    counts = _word_buckets(docs, id_col, text_col, d)
     if idf:
-        n = docs.select(F.countDistinct(id_col).alias("n"))  # one row
-        df = counts.groupBy("b").agg(F.count("*").alias("df"))  # a row a bucket
+        of = docs if base is None else base
+        n = of.select(F.countDistinct(id_col).alias("n"))  # one row
+        df = _word_buckets(of, id_col, text_col, d).groupBy("b").agg(F.count("*").alias("df"))  # a row a bucket
         counts = counts.join(F.broadcast(df), "b").crossJoin(F.broadcast(n)).select("u", "b", (F.col("v") * F.ln(F.col("n") / F.col("df"))).alias("v"))
     return histogram(counts, "u", "b", "v", d).select("id", normalize("vec").alias("vec"))
 
 
+def char_ngrams(docs: DataFrame, id_col: str, text_col: str, d: int, n: int = 3) -> DataFrame:
+    """(id, vec): counts of character n-grams of the lower-case text in d hashed buckets, at length 1. Texts shorter than n give no row."""
+    at = F.sequence(F.lit(1), F.length("t") - (n - 1))
+    rows = docs.select(F.col(id_col).alias("u"), F.lower(text_col).alias("t")).where(F.length("t") >= n)
+    grams = rows.select("u", F.explode(F.transform(at, lambda i: F.substring(F.col("t"), i, F.lit(n)))).alias("g"))
+    counted = grams.groupBy("u", _bucket("g", d).alias("b")).agg(F.count("*").cast("double").alias("v"))
+    return histogram(counted, "u", "b", "v", d).select("id", normalize("vec").alias("vec"))
+
+
 def page_features(spark: SparkSession, sf_dir: str, d: int = 960) -> DataFrame:
     """Pages as hashed word counts of the text outside tags."""
     pages = load(spark, sf_dir, "pages").select("page_id", F.regexp_replace("html", "<[^>]*>", " ").alias("t"))
