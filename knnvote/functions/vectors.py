@@ -46,8 +46,10 @@ def cosine_distance(a: Column | str, b: Column | str) -> Column:
 
 
 def scale(a: Column | str, by: Column | float) -> Column:
-    by = by if isinstance(by, Column) else F.lit(float(by))
-    return F.transform(_d(a), lambda x: x * by)
+    if not isinstance(by, Column):
+        return F.transform(_d(a), lambda x: x * F.lit(float(by)))
+    # an outer lambda binds the factor, which would else be computed anew for every component
+    return F.get(F.transform(F.array(by), lambda b: F.transform(_d(a), lambda x: x * b)), F.lit(0))
 
 
 def add(a: Column | str, b: Column | str) -> Column:

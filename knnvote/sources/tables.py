@@ -12,7 +12,7 @@ from ..plans.config import VectorSchemaError
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 
 
-WIDE = 1024  # dimensions beyond which vectors are filled in Arrow blocks
+WIDE = 256  # dimensions beyond which vectors are filled in Arrow blocks
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
