@@ -157,10 +157,10 @@ def customer_brand(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def letter_bigrams(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Documents as counts of letter pairs in 784 hashed buckets, at length 1."""
-    text = F.regexp_replace(F.lower("text"), "[^a-z]", " ")
-    at = F.sequence(F.lit(1), F.greatest(F.lit(1), F.length("t") - 1))
-    rows = load(spark, sf_dir, "documents").select("doc_id", text.alias("t")).select("doc_id", F.explode(F.transform(at, lambda i: F.substring(F.col("t"), i, F.lit(2)))).alias("g"))
-    rows = rows.where(~F.col("g").contains(" ") & (F.length("g") == 2)).select(F.col("doc_id").alias("u"), _bucket("g", 784).alias("b"), F.lit(1.0).alias("v"))
+    # a look-ahead finds overlapping pairs in one pass; substrings by place would walk the text anew for each
+    pairs = F.regexp_extract_all(F.lower("text"), F.lit("(?=([a-z]{2}))"), F.lit(1))
+    rows = load(spark, sf_dir, "documents").select("doc_id", F.explode(pairs).alias("g"))
+    rows = rows.select(F.col("doc_id").alias("u"), _bucket("g", 784).alias("b"), F.lit(1.0).alias("v"))
     return histogram(rows, "u", "b", "v", 784).select("id", normalize("vec").alias("vec"))
 
 
@@ -190,9 +190,8 @@ def word_counts(docs: DataFrame, id_col: str, text_col: str, d: int, idf: bool =
 
 def char_ngrams(docs: DataFrame, id_col: str, text_col: str, d: int, n: int = 3) -> DataFrame:
     """(id, vec): counts of character n-grams of the lower-case text in d hashed buckets, at length 1. Texts shorter than n give no row."""
-    at = F.sequence(F.lit(1), F.length("t") - (n - 1))
-    rows = docs.select(F.col(id_col).alias("u"), F.lower(text_col).alias("t")).where(F.length("t") >= n)
-    grams = rows.select("u", F.explode(F.transform(at, lambda i: F.substring(F.col("t"), i, F.lit(n)))).alias("g"))
+    pattern = rf"(?s)(?=([^\x{{DC00}}-\x{{DFFF}}].{{{n - 1}}}))"  # no gram starts within a character of two units
+    grams = docs.select(F.col(id_col).alias("u"), F.explode(F.regexp_extract_all(F.lower(text_col), F.lit(pattern), F.lit(1))).alias("g"))
     counted = grams.groupBy("u", _bucket("g", d).alias("b")).agg(F.count("*").cast("double").alias("v"))
     return histogram(counted, "u", "b", "v", d).select("id", normalize("vec").alias("vec"))
 
