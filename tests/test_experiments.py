@@ -72,3 +72,11 @@ def test_costs_rise_with_budgets_and_bounds_hold(spark):
     assert all(a[1] <= b[1] and a[2] <= b[2] for a, b in zip(leaves, leaves[1:], strict=False)) and leaves[-1][2] == 1.0
     best = {(r.method, r.level): r for r in ex.cost_to_recall(runs).collect()}
     assert best["brute_force", 0.99].speedup == 1.0 and best["kd_tree", 0.99].evals <= 3600
+
+
+def test_kmeans_tree_of_double_vectors(spark):
+    from knnvote.operators import baselines as ba
+
+    points = spark.createDataFrame([(i, [float(i % 4), float(i)]) for i in range(40)], "id long, vec array<double>")
+    queries = points.where("id < 3").select(F.col("id").alias("qid"), F.col("vec").alias("qvec"))
+    assert {(r.qid, r.id) for r in ba.kmeans_tree(points, 2, 2).search(queries, 1, 4).collect()} == {(0, 0), (1, 1), (2, 2)}
