@@ -52,7 +52,7 @@ def _majority(blocks: Iterable[bytes]) -> int:
 def with_fingerprint(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = SHINGLE, sketch: bool = False) -> DataFrame:
     """(doc_id, fp long): one narrow row per document. Null and blank texts have fingerprint 0.
 
-    With `sketch`, also the min-hash band keys and the minima's low bytes; texts without words have none.
+    With `sketch`, also the text's XXH64, the min-hash band keys and the minima's low bytes; texts without words have no sketch.
     """
     small_batches(docs.sparkSession)
 
@@ -66,11 +66,12 @@ def with_fingerprint(docs: DataFrame, doc_id: str = "doc_id", text: str = "text"
                     m = similar.minima(np.frombuffer(b"".join(blocks), "<u8")) if blocks else None
                     keys.append([] if m is None else similar.band_keys(m))
                     least.append(b"" if m is None else m.astype(np.uint8).tobytes())
-            more = [pa.array(keys, pa.list_(pa.int64())), pa.array(least, pa.binary())] if sketch else []
-            yield pa.record_batch([b.column(0), pa.array(np.array(fps, np.uint64).view(np.int64)), *more], names=["doc_id", "fp", "keys", "least"][: 2 + len(more)])
+            more = [b.column(2), pa.array(keys, pa.list_(pa.int64())), pa.array(least, pa.binary())] if sketch else []
+            yield pa.record_batch([b.column(0), pa.array(np.array(fps, np.uint64).view(np.int64)), *more], names=["doc_id", "fp", "tid", "keys", "least"][: 2 + len(more)])
 
-    schema = "doc_id long, fp long" + (", keys array<bigint>, least binary" if sketch else "")
-    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("t")).mapInArrow(run, schema)
+    schema = "doc_id long, fp long" + (", tid long, keys array<bigint>, least binary" if sketch else "")
+    whole = [similar.text_id(text).alias("tid")] if sketch else []
+    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("t"), *whole).mapInArrow(run, schema)
 
 
 # ---- vantage-point tree -------------------------------------------------------------------
@@ -243,16 +244,33 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     fps = settle(with_fingerprint(docs, doc_id, text, shingle, similarity is not None), "fingerprints")
     groups = settle(fps.where("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("node")), "groups")
     links = near_links(groups, radius)
-    if similarity is not None:
-        # one text stands for those of its fingerprint
-        named = fps.where("size(keys) > 0").select(F.col("doc_id").alias("node"), "fp", "keys", "least")
-        sketches = settle(named.join(groups, ["node", "fp"], "left_semi").groupBy("node").agg(F.min_by("keys", "least").alias("keys"), F.min("least").alias("least")), "sketches")
-        links = links.unionByName(similar.confirmed(similar.candidates(sketches, similarity), docs, similarity, shingle, doc_id, text))
-    label = connected_components(settle(links, "links"))
+    if similarity is None:
+        label = connected_components(settle(links, "links"))
+    else:
+        label = _with_similar(links, fps, groups, docs, similarity, shingle, text)
     classes = groups.join(label, "node", "left").select("fp", F.coalesce("component", "node").alias("component_id"))
     return fps.join(classes, "fp", "left").select("doc_id", "fp", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
 
 
+def _with_similar(links: DataFrame, fps: DataFrame, groups: DataFrame, docs: DataFrame, similarity: float, shingle: int, text: str) -> DataFrame:
+    """(node, component) over the links and the pairs of similar texts; every distinct text is sketched.
+
+    Pairs with the heads of bands join large groups first; then all pairs of a band that still lie apart are tried.
+    """
+    named = fps.where("doc_id is not null and size(keys) > 0").groupBy("tid").agg(F.first("fp").alias("fp"), F.first("keys").alias("keys"), F.first("least").alias("least"))
+    sketches = settle(named.join(groups, "fp").select(F.col("tid").alias("node"), F.col("node").alias("member"), "keys", "least"), "sketches")
+    shared = similar.shared_bands(sketches)
+    docs = docs.where(F.col(text).isNotNull())
+    named_by = lambda pairs, kind, of: pairs.join(of.select(F.col("node").alias("a"), F.col(kind).alias("u")), "a").join(of.select(F.col("node").alias("b"), F.col(kind).alias("v")), "b").select(F.col("u").alias("a"), F.col("v").alias("b"))
+    first = similar.confirmed(similar.candidates(sketches, shared, similarity), docs, similarity, shingle, text)
+    label = settle(connected_components(settle(links.unionByName(named_by(first, "member", sketches)), "links")), "label")
+    placed = sketches.join(label.withColumnRenamed("node", "member"), "member", "left").select("node", F.coalesce("component", "member").alias("part"), "least")
+    placed = settle(placed, "placed")
+    more = similar.confirmed_in_chunks(similar.remaining(placed, shared, similarity), docs, similarity, shingle, text)
+    joined = label.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(named_by(more, "part", placed))
+    return connected_components(settle(joined, "links"))
+
+
 def one_of_each(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS, similarity: float | None = None) -> DataFrame:
     """The rows of docs that represent their near-duplicate group; rows without an id all stay.
 

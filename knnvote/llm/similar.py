@@ -8,13 +8,17 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import settle, small_batches
 
 BANDS, ROWS = 20, 6  # a pair of similarity 0.8 shares a band with probability 0.998
+BLOCK_ROWS = 4_000  # sketches of a band in one block
+CHUNK_ROWS = 500  # sketches of a block whose texts are compared together
+HELD = 500_000  # shingles that a task keeps while it compares texts
 SLACK = 0.15  # a pair whose estimated similarity is this much too low isn't compared: four standard errors at 0.8
 _RNG = np.random.default_rng(20)
 _MUL = _RNG.integers(1, 2**32, (2, BANDS * ROWS), dtype=np.uint32) | np.uint32(1)
@@ -43,19 +47,84 @@ def shingles(text: str | None, n: int) -> set:
     return set(zip(*(words[i:] for i in range(n)), strict=False)) if len(words) > n else {tuple(words)} - {()}
 
 
-def candidates(sketches: DataFrame, similarity: float) -> DataFrame:
+def shared_bands(sketches: DataFrame) -> DataFrame:
+    """(key, node, first, last): the members of every band of two texts or more, with the band's least and greatest."""
+    rows = sketches.select("node", F.explode("keys").alias("key"))
+    heads = rows.groupBy("key").agg(F.min("node").alias("first"), F.max("node").alias("last")).where("first < last")
+    return settle(rows.join(settle(heads, "bands"), "key").select("key", "node", "first", "last"), "shared")
+
+
+def candidates(sketches: DataFrame, shared: DataFrame, similarity: float) -> DataFrame:
     """(a, b): each text with the first and last of every band it shares, where the sketches agree well enough.
 
-    sketches: (node, keys array<long>, least binary), a row a text. Pairs grow with texts and bands, never with the
-    square of a band's texts.
+    sketches: (node, member, keys array<long>, least binary), a row a distinct text; texts of one member are linked as
+    they are. Pairs grow with texts and bands; they link large groups, and `remaining` finds what they leave out.
     """
-    rows = sketches.select("node", F.explode("keys").alias("key"))
-    heads = rows.groupBy("key").agg(F.min("node").alias("first"), F.max("node").alias("last")).where("first < last")
-    heads = settle(heads, "bands")
-    met = rows.join(heads, "key").select("node", F.explode(F.array("first", "last")).alias("head")).where("node <> head")
+    met = shared.select("node", F.explode(F.array("first", "last")).alias("head")).where("node <> head")
     pairs = met.select(F.least("node", "head").alias("a"), F.greatest("node", "head").alias("b")).distinct()
-    side = lambda k: sketches.select(F.col("node").alias(k), F.col("least").alias(f"m{k}"))
-    return pairs.join(side("a"), "a").join(side("b"), "b").mapInArrow(_agreeing(similarity - SLACK), "a long, b long")
+    side = lambda k: sketches.select(F.col("node").alias(k), F.col("member").alias(f"of_{k}"), F.col("least").alias(f"m{k}"))
+    return pairs.join(side("a"), "a").join(side("b"), "b").where("of_a <> of_b").mapInArrow(_agreeing(similarity - SLACK), "a long, b long")
+
+
+def remaining(placed: DataFrame, shared: DataFrame, similarity: float) -> DataFrame:
+    """(a, b, chunk): all pairs of a band in different parts whose sketches agree well enough.
+
+    placed: (node, part long, least). The members of a band outside its largest part meet all others, in blocks of
+    BLOCK_ROWS, two blocks a task; small bands share tasks. Pairs of a chunk are of few texts.
+    """
+    rows = shared.select("key", "node").join(placed.select("node", "part"), "node")
+    sizes = rows.groupBy("key", "part").agg(F.count("*").alias("n"))
+    bands = sizes.groupBy("key").agg(F.max_by("part", F.struct("n", "part")).alias("main"), F.max("n").alias("most"), F.sum("n").alias("n")).where("most < n")
+    blocks = lambda n: F.ceil(n / F.lit(BLOCK_ROWS)).cast("int")
+    bands = settle(bands.select("key", "main", blocks(F.col("n") - F.col("most")).alias("others"), blocks(F.col("most")).alias("mains"), "n"), "open")
+    tasks = max(1, (bands.agg(F.sum("n")).first()[0] or 0) // BLOCK_ROWS)
+    salt = F.xxhash64("node", F.lit("block"))
+    own = F.when(F.col("part") == F.col("main"), F.col("others") + F.pmod(salt, F.col("mains"))).otherwise(F.pmod(salt, F.col("others"))).cast("int")
+    dealt = rows.join(bands, "key").withColumn("own", own)
+    meets = F.explode(F.sequence(F.lit(0), F.when(F.col("own") < F.col("others"), F.col("others") + F.col("mains")).otherwise(F.col("others")) - 1))
+    dealt = dealt.withColumn("other", meets).withColumn("i", F.least("own", "other")).withColumn("j", F.greatest("own", "other"))
+    task = F.when(F.col("others") + F.col("mains") == 2, F.pmod(F.xxhash64("key"), F.lit(tasks))).otherwise(F.xxhash64("key", "i", "j"))
+    side = F.when(F.col("i") == F.col("j"), 2).when(F.col("own") == F.col("i"), 0).otherwise(1)
+    dealt = dealt.select(task.alias("task"), "key", "i", "j", side.alias("side"), "node", "part").join(placed.select("node", "least"), "node")
+    pairs = dealt.groupBy("task").applyInArrow(_all_pairs(similarity - SLACK), "a long, b long, chunk long")
+    return pairs.groupBy("a", "b").agg(F.min("chunk").alias("chunk"))
+
+
+def agreement(one: np.ndarray, other: np.ndarray) -> np.ndarray:
+    """Equal places of all rows of two matrices of bytes."""
+    if len(one) * len(other) < 1 << 10:
+        return (one[:, None] == other[None]).sum(axis=2)
+    out, other = np.zeros((len(one), len(other)), np.uint8), np.ascontiguousarray(other.T)
+    for k in range(one.shape[1]):
+        out += one[:, k, None] == other[k]
+    return out
+
+
+def _all_pairs(share: float):
+    least = share * BANDS * ROWS
+
+    def run(t: pa.Table) -> pa.Table:
+        t = t.sort_by([("key", "ascending"), ("i", "ascending"), ("j", "ascending"), ("node", "ascending")])
+        key, i, j, side, node, part = (t.column(c).to_numpy() for c in ("key", "i", "j", "side", "node", "part"))
+        sketch = np.frombuffer(b"".join(t.column("least").to_pylist()), np.uint8).reshape(len(t), -1)
+        ends = np.flatnonzero((np.diff(key) != 0) | (np.diff(i) != 0) | (np.diff(j) != 0)) + 1
+        a, b = [], []
+        for lo, hi in zip([0, *ends], [*ends, len(t)], strict=True):
+            at = np.arange(lo, hi)
+            one, other = at[side[lo:hi] != 1], at[side[lo:hi] != 0]
+            for x in np.array_split(one, len(one) // 256 + 1):
+                fit = (agreement(sketch[x], sketch[other]) >= least) & (part[x][:, None] != part[other])
+                m, n = np.nonzero(fit)
+                keep = (node[x[m]] < node[other[n]]) | (side[x[m]] != 2)  # a block with itself has each pair twice
+                a.append(x[m[keep]])
+                b.append(other[n[keep]])
+        a, b = (np.concatenate(v) if v else np.zeros(0, np.int64) for v in (a, b))
+        a, b = np.where(node[a] < node[b], a, b), np.where(node[a] < node[b], b, a)
+        own = xxhash.xxh64_intdigest(str(t.column("task")[0].as_py()).encode()) >> 1
+        chunk = (own + a // CHUNK_ROWS * 1_000_003 + b // CHUNK_ROWS) % 2**62
+        return pa.table({"a": node[a], "b": node[b], "chunk": pa.array(chunk.astype(np.int64))})
+
+    return run
 
 
 def _agreeing(share: float):
@@ -67,13 +136,26 @@ def _agreeing(share: float):
     return run
 
 
-def confirmed(pairs: DataFrame, docs: DataFrame, similarity: float, shingle: int, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """(a, b) of the pairs whose whole texts have at least this Jaccard similarity; of a repeated id, the least text counts."""
+def alike(one: set, other: set, similarity: float) -> bool:
+    both = len(one & other)
+    return both > 0 and both >= similarity * (len(one) + len(other) - both)
+
+
+def _texts(pairs: DataFrame, docs: DataFrame, text: str) -> DataFrame:
+    """(node, t): the texts of the pairs, each once; a node is the text's XXH64."""
+    ids = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
+    return docs.select(text_id(text).alias("node"), F.col(text).alias("t")).join(ids, "node", "left_semi").groupBy("node").agg(F.min("t").alias("t"))
+
+
+def text_id(text: str) -> Column:
+    return F.xxhash64(F.col(text).cast("binary"))
+
+
+def confirmed(pairs: DataFrame, docs: DataFrame, similarity: float, shingle: int, text: str = "text") -> DataFrame:
+    """(a, b) of the pairs whose whole texts have at least this Jaccard similarity."""
     small_batches(docs.sparkSession)
     pairs = settle(pairs, "pairs")
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct()
-    texts = docs.select(F.col(doc_id).cast("long").alias("node"), F.col(text).alias("t")).join(ids, "node", "left_semi").groupBy("node").agg(F.min("t").alias("t"))
-    texts = settle(texts, "texts")
+    texts = settle(_texts(pairs, docs, text), "texts")
     side = lambda k: texts.select(F.col("node").alias(k), F.col("t").alias(f"t{k}"))
 
     def run(batches):
@@ -82,9 +164,47 @@ def confirmed(pairs: DataFrame, docs: DataFrame, similarity: float, shingle: int
             for a, ta, tb in zip(x.column("a").to_pylist(), x.column("ta").to_pylist(), x.column("tb").to_pylist(), strict=True):
                 if held[0] != a:
                     held = (a, shingles(ta, shingle))
-                one, other = held[1], shingles(tb, shingle)
-                both = len(one & other)
-                keep.append(both > 0 and both >= similarity * (len(one) + len(other) - both))
+                keep.append(alike(held[1], shingles(tb, shingle), similarity))
             yield pa.record_batch([x.column("a"), x.column("b")], names=["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     return pairs.join(side("b"), "b").join(side("a"), "a").mapInArrow(run, "a long, b long")
+
+
+def confirmed_in_chunks(pairs: DataFrame, docs: DataFrame, similarity: float, shingle: int, text: str = "text") -> DataFrame:
+    """(a, b): links that join the texts of each chunk of pairs (a, b, chunk) as all its confirmed pairs would.
+
+    A text goes to each chunk once, whatever the number of its pairs there.
+    """
+    pairs = settle(pairs, "pairs")
+    needed = pairs.select("chunk", F.explode(F.array("a", "b")).alias("node")).distinct().join(_texts(pairs, docs, text), "node")
+    rows = pairs.select("chunk", "a", "b", F.lit(None).cast("string").alias("t")).unionByName(needed.select("chunk", F.col("node").alias("a"), F.lit(None).cast("long").alias("b"), "t"))
+
+    def run(x: pa.Table) -> pa.Table:
+        own = x.filter(pc.is_null(x.column("b")))
+        texts = dict(zip(own.column("a").to_pylist(), own.column("t").to_pylist(), strict=True))
+        todo = x.filter(pc.is_valid(x.column("b"))).sort_by([("a", "ascending"), ("b", "ascending")])
+        held, kept, root, out = {}, 0, {k: k for k in texts}, []
+
+        def find(k):
+            while root[k] != k:
+                root[k] = k = root[root[k]]
+            return k
+
+        def of(k):
+            nonlocal kept
+            if k not in held:
+                got = shingles(texts[k], shingle)
+                if kept + len(got) > HELD:
+                    held.clear()
+                    kept = 0
+                held[k] = got
+                kept += len(got)
+            return held[k]
+
+        for a, b in zip(todo.column("a").to_pylist(), todo.column("b").to_pylist(), strict=True):
+            if find(a) != find(b) and alike(of(a), of(b), similarity):
+                root[find(a)] = find(b)
+                out.append((a, b))
+        return pa.table({"a": pa.array([p[0] for p in out], pa.int64()), "b": pa.array([p[1] for p in out], pa.int64())})
+
+    return rows.groupBy("chunk").applyInArrow(run, "a long, b long")

@@ -9,7 +9,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from knnvote.llm import langid, licenses, mih, mixing, sharding, simhash, tokenstore, toxicity, urltree, winnowing
+from knnvote.llm import langid, licenses, mih, mixing, sharding, simhash, similar, tokenstore, toxicity, urltree, winnowing
 from knnvote.llm.components import connected_components
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, shard string"
@@ -65,6 +65,38 @@ def test_similar_texts_link(spark):
     assert simhash.one_of_each(docs(spark, []), shingle=5, similarity=0.8).count() == 0
 
 
+def test_similar_texts_link_in_a_large_family(spark, monkeypatch):
+    monkeypatch.setattr(similar, "BLOCK_ROWS", 40, raising=False)
+    rng = np.random.default_rng(4)
+    common = [f"c{x}" for x in range(170)]
+    own = lambda n: [f"w{x}" for x in rng.integers(0, 10**9, n)]
+    family = [[*common, *own(30)] for _ in range(150)]
+    near = [[*f[:-17], *own(17)] for f in family]
+    texts = [" ".join(t) for t in (*family, *near)]
+    sets = [similar.shingles(t, 5) for t in texts]
+    i, j = zip(*[(i, j) for i in range(len(sets)) for j in range(i) if similar.alike(sets[i], sets[j], 0.8)], strict=True)
+    assert len(i) == 150
+    got = {r.doc_id: r.component_id for r in simhash.near_duplicates(docs(spark, texts), shingle=5, similarity=0.8).collect()}
+    assert [(i, j) for i, j in zip(i, j, strict=True) if got[i] != got[j]] == []
+    fps = np.array([simhash.fingerprint(t.encode(), 5) for t in texts], np.uint64)
+    m, n = np.nonzero(np.bitwise_count(fps[:, None] ^ fps) <= simhash.RADIUS)
+    reach = list(range(len(texts)))
+    for x, y in (*zip(i, j, strict=True), *zip(m, n, strict=True)):
+        x, y = reach[x], reach[y]
+        reach = [min(x, y) if k in (x, y) else k for k in reach]
+    assert all(reach[k] == reach[got[k]] for k in got)
+
+
+def test_every_text_of_a_fingerprint_is_sketched(spark, monkeypatch):
+    rng = np.random.default_rng(6)
+    base = [f"w{x}" for x in rng.integers(0, 10**9, 100)]
+    texts = [" ".join(f"v{x}" for x in range(100)), " ".join(base), " ".join([*base[:-4], "a", "b", "c", "d"])]
+    plain = simhash.with_fingerprint
+    monkeypatch.setattr(simhash, "with_fingerprint", lambda *a: plain(*a).withColumn("fp", F.when(F.col("doc_id") < 2, 0).otherwise(-1).cast("long")))
+    got = {r.doc_id: r.component_id for r in simhash.near_duplicates(docs(spark, texts), shingle=5, similarity=0.8).collect()}
+    assert got == {0: 0, 1: 0, 2: 0}
+
+
 def _windows(words, n):
     return [tuple(words[i : i + n]) for i in range(len(words) - n + 1)]
 
