@@ -8,6 +8,8 @@ by the exact differences in wording.
 from __future__ import annotations
 
 import re
+from bisect import bisect_right
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 from difflib import SequenceMatcher
@@ -49,13 +51,14 @@ TEMPLATES: dict[str, tuple[str, ...]] = {
     "CC0-1.0": ("To the extent possible under law, the author has waived all copyright and related or neighboring rights to this work.",),
 }
 
-#: Words that make a line a candidate.
+#: Words that make a paragraph a candidate.
 CUES = re.compile(r"licen[sc]|copyright|public domain|permission is|redistribut|all rights|warrant|spdx|creative commons|waived", re.I)
 
-WORDS = re.compile(r"[^\W_]+(?:[.\-][^\W_]+)*")
+HINTS = re.compile(r"licen[sc]|copyright|public|permission|redistribut|rights|warrant|spdx|creative|waived", re.I)  # a cue has one of these, wherever lines break
+MARKS = re.compile(r"^\s*(?:/\*+|\*+/?|//+|#+|--+|;+|%+|<!--|(?:rem|dnl)\b)|(?:\*+/|-->)\s*$", re.I)  # of comments
+WORDS = re.compile(r"[^\W_]+(?:(?:[.\-]|-[ \t\r]*\n\s*)[^\W_]+)*")  # a hyphen also joins over a line's end
 LIKE = 0.8  # share of a block's and a template's words that must agree
-RANKED = 5  # templates whose wording is compared, best savings first; all that save as much as the last one too
-BLOCK = 2_000  # bytes of a candidate block; longer paragraphs are taken in overlapping blocks
+BLOCK = 2_000  # characters of a candidate block; longer paragraphs are taken in overlapping blocks
 LEVEL = 19
 
 
@@ -83,6 +86,7 @@ class Scanner:
             for _, t in self.named
         ]
         self.words = [_words(t) for _, t in self.named]
+        self.counts = [Counter(w) for w in self.words]
         self.judge = lru_cache(maxsize=50_000)(self._judge)
 
     def savings(self, block: str) -> list[tuple[float, int]]:
@@ -91,59 +95,118 @@ class Scanner:
         alone = len(self.plain.compress(raw))
         return sorted(((1 - len(c.compress(raw)) / alone, i) for i, c in enumerate(self.primed)), key=lambda x: (-x[0], x[1]))
 
-    def _judge(self, block: str) -> tuple | None:
-        """The winner among the best-ranked templates that the wording confirms, or none."""
-        ranked = self.savings(block)
-        least = ranked[min(RANKED, len(ranked)) - 1][0]
-        words, best = _words(block), None
-        for saved, i in ranked:
-            if saved < least or saved <= 0:
+    def _judge(self, block: str) -> tuple:
+        """Every template that the wording confirms, none over the words of a better one: the best, then those of the words beside it."""
+        spots = [(m.start(), m.end(), "".join(m.group().lower().split())) for m in WORDS.finditer(block)]
+        out, todo = [], [(0, len(spots))]
+        while todo:
+            lo, hi = todo.pop()
+            best = self._best(block[spots[lo][0] : spots[hi - 1][1]] if lo or hi < len(spots) else block, [w for _, _, w in spots[lo:hi]]) if lo < hi else None
+            if best:
+                _, share, saved, i, missing, added, a, b = best
+                out.append((share, saved, i, missing, added, spots[lo + a][0], spots[lo + b - 1][1]))
+                todo += [(lo, lo + a), (lo + b, hi)]
+        return tuple(out)
+
+    def _best(self, block: str, words: list[str]) -> tuple | None:
+        """The template of most agreeing words among those that save bytes and that the wording confirms, or none."""
+        held = Counter(words)
+        able = {i for i, c in enumerate(self.counts) if _enough((c & held).total(), c.total())}
+        best = None
+        for saved, i in self.savings(" ".join(block.split())) if able else ():
+            if saved <= 0:
                 break
-            theirs = self.words[i]
-            same = [m for m in SequenceMatcher(None, theirs, words, autojunk=False).get_matching_blocks() if m.size]
-            agree = sum(m.size for m in same)
-            if not agree:
+            if i not in able:
                 continue
-            lo, hi = same[0].b, same[-1].b + same[-1].size
-            share = 2 * agree / (len(theirs) + hi - lo)
-            if share >= LIKE and (best is None or (share, agree, saved) > best[:3]):
-                a_hit = {j for m in same for j in range(m.a, m.a + m.size)}
-                b_hit = {j for m in same for j in range(m.b, m.b + m.size)}
-                best = (share, agree, saved, i, tuple(w for j, w in enumerate(theirs) if j not in a_hit), tuple(words[j] for j in range(lo, hi) if j not in b_hit))
+            theirs = self.words[i]
+            for same in _alignments(theirs, self.counts[i], words):
+                agree = sum(m[2] for m in same)
+                lo, hi = same[0][1], same[-1][1] + same[-1][2]
+                share = 2 * agree / (len(theirs) + hi - lo)
+                if share >= LIKE and (best is None or (agree, share, saved) > best[:3]):
+                    a_hit = {j for x, _, n in same for j in range(x, x + n)}
+                    b_hit = {j for _, x, n in same for j in range(x, x + n)}
+                    best = (agree, share, saved, i, tuple(w for j, w in enumerate(theirs) if j not in a_hit), tuple(words[j] for j in range(lo, hi) if j not in b_hit), lo, hi)
         return best
 
     def scan(self, text: str | None) -> list[Found]:
-        """Confirmed licenses of a text, by place."""
+        """Confirmed licenses of a text, by place; of two that overlap, the longer one."""
         out = []
-        for begin, end in blocks(text or ""):
-            got = self.judge(text[begin:end])
-            if got:
-                share, _, saved, i, missing, added = got
-                out.append(Found(begin, end, self.named[i][0], round(saved, 6), round(share, 6), missing, added))
-        return out
+        for begin, block in blocks(text or ""):
+            for share, saved, i, missing, added, lo, hi in self.judge(block):
+                out.append(Found(begin + lo, begin + hi, self.named[i][0], round(saved, 6), round(share, 6), missing, added))
+        kept: list[Found] = []
+        for x in sorted(out, key=lambda x: (x.begin - x.end, -x.agreement, x.begin, -x.saved)):
+            if all(x.end <= y.begin or y.end <= x.begin for y in kept):
+                kept.append(x)
+        return sorted(kept, key=lambda x: x.begin)
+
+
+def _enough(agree: int, theirs: int) -> bool:
+    """Whether so many words in common can reach LIKE: the words of the text are no fewer than those."""
+    return 2 * agree >= LIKE * (theirs + agree)
+
 
+def _alignments(theirs: list[str], counts: Counter, words: list[str]) -> Iterator[list[tuple[int, int, int]]]:
+    """Runs of equal words (place in the template, place in the block, length), the best stretch of every window that has enough of them.
 
-def blocks(text: str) -> Iterator[tuple[int, int]]:
-    """Candidate blocks: lines with a cue and the cue-bearing lines that follow on, split at sentence ends where they grow long."""
-    if not CUES.search(text):
+    A stretch that agrees is at most 2 / LIKE - 1 times as long as the template, so it lies in one window whole.
+    """
+    most = int(len(theirs) * (2 / LIKE - 1)) + 1
+    step = max(1, len(theirs) // 2)
+    for at in range(0, max(1, len(words) - most + step), step):
+        part = words[at : at + most + step]
+        if not _enough((Counter(part) & counts).total(), len(theirs)):
+            continue
+        same = [(m.a, at + m.b, m.size) for m in SequenceMatcher(None, theirs, part, autojunk=False).get_matching_blocks() if m.size]
+        stretch = lambda lo, hi: 2 * sum(m[2] for m in same[lo:hi]) / (len(theirs) + same[hi - 1][1] + same[hi - 1][2] - same[lo][1])
+        if same:
+            lo, hi = max(((lo, hi) for lo in range(len(same)) for hi in range(lo + 1, len(same) + 1)), key=lambda x: (stretch(*x), x[1] - x[0]))
+            yield same[lo:hi]
+
+
+def blocks(text: str) -> Iterator[tuple[int, str]]:
+    """(begin, block): paragraphs with a cue, comment marks blanked out; long ones in pieces that overlap by half.
+
+    A paragraph ends at a line without words. Blanks keep every word at its place.
+    """
+    if not HINTS.search(text):
         return
-    at = 0
-    for line in text.split("\n"):
-        if CUES.search(line):
-            if len(line) <= BLOCK:
-                yield at, at + len(line)
-            else:
-                for m in CUES.finditer(line):
-                    lo, hi = max(0, m.start() - BLOCK // 2), min(len(line), m.end() + BLOCK // 2)
-                    yield at + lo, at + hi
+    at, begin, held = 0, 0, []
+    for line in [*text.split("\n"), ""]:
+        plain = MARKS.sub(lambda m: " " * len(m.group()), line)
+        if WORDS.search(plain):
+            begin = begin if held else at
+            held.append(plain)
+        elif held:
+            whole, held = "\n".join(held), []
+            if CUES.search(" ".join(whole.split())):
+                yield from ((begin + lo, piece) for lo, piece in _pieces(whole))
         at += len(line) + 1
 
 
+def _pieces(block: str) -> Iterator[tuple[int, str]]:
+    """Pieces of about BLOCK characters without those between the words, cut between words."""
+    if len(block) <= BLOCK:
+        yield 0, block
+        return
+    spots, size = [m.span() for m in WORDS.finditer(block)], [0]
+    for lo, hi in spots:
+        size.append(size[-1] + hi - lo + 1)
+    first = 0
+    while True:
+        last = max(first + 1, bisect_right(size, size[first] + BLOCK) - 1)
+        yield spots[first][0], block[spots[first][0] : spots[last - 1][1]]
+        if last == len(spots):
+            return
+        first = max(first + 1, bisect_right(size, size[last] - BLOCK // 2) - 1)
+
+
 def scan_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", templates: dict[str, tuple[str, ...]] = TEMPLATES) -> DataFrame:
     """(doc_id, n_blocks, licenses, saved, agreement, spans) for every row of docs.
 
     licenses: distinct identifiers, sorted; saved and agreement: those of the best confirmed block (null without
-    one); spans: every confirmed block with its license and its differences in wording. Null and empty texts
+    one); spans: every confirmed notice with its license and its differences in wording. Null and empty texts
     have no blocks. Equal blocks are judged once by each worker. Repeated rows each keep their row. Further
     columns are ignored.
     """

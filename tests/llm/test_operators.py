@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import re
+import textwrap
 import zlib
 
 import numpy as np
@@ -207,6 +208,23 @@ def test_licenses_are_told_apart(spark):
     assert got == [[]] * len(ODD) + [["CC-BY-NC-4.0"], ["CC-BY-4.0"], ["MIT"], [], ["GPL-3.0-only"]]
 
 
+def test_wrapped_and_dual_licenses_are_found():
+    scan = licenses.Scanner().scan
+    for name, wordings in licenses.TEMPLATES.items():
+        for t in wordings:
+            for mark, width in ((" * ", 50), ("# ", 30), ("", 70), ("dnl ", 40)):
+                text = "int x;\n\n" + "\n".join(mark + x for x in textwrap.wrap(t, width)) + "\n\nint main() {}"
+                found = scan(text)
+                assert [x.license for x in found] == [name] and found[0].agreement > 0.95
+                assert text[found[0].begin :].startswith(t.split()[0])
+    gpl, mit = licenses.TEMPLATES["GPL-2.0-only"][1], licenses.TEMPLATES["MIT"][1]
+    both = "\n".join(textwrap.wrap(f"This file may be used under either of two sets of terms. {gpl} Or else: {mit}.", 60))
+    assert [x.license for x in scan(both)] == ["GPL-2.0-only", "MIT"]
+    assert [x.license for x in scan("Licensed under CC BY 4.0. Released under the MIT License.")] == ["CC-BY-4.0", "MIT"]
+    long = " ".join(f"word{k} license" for k in range(2000))
+    assert [x.license for x in scan(f"{long} {gpl} {long}\n{mit}\n{long}")] == ["GPL-2.0-only", "MIT"]
+
+
 def test_multi_index_is_exact():
     rng = np.random.default_rng(9)
     codes = rng.integers(0, 2**63, 600, dtype=np.int64) & (2**50 - 1)
