@@ -124,3 +124,13 @@ def test_bad_input(spark):
     assert [r.id for r in ta.to_points(rows, "i", "v", on_invalid="drop").collect()] == [1]
     with pytest.raises(ValueError):
         ForestParams(depth=4).validate(n=15)
+
+
+def test_points_are_numbered_without_gaps(spark):
+    ids = [7 * i + 1_000_000 + i % 3 for i in range(500)]
+    points = spark.createDataFrame([(i, [float(i % 13), float(i % 7)]) for i in ids], "id long, vec array<double>").repartition(7)
+    assert [(r.id, r.at) for r in ba._numbered(points).orderBy("at").collect()] == [(x, k) for k, x in enumerate(sorted(ids))]
+    counted = points.select("id", "vec")
+    counted.count = lambda: 2_000_000  # as a large table would
+    edges = ba.knn_graph(counted, 4, rounds=1).edges.groupBy("u").count().collect()
+    assert {r.u for r in edges} == set(ids) and {r["count"] for r in edges} <= {1, 2, 3, 4}
