@@ -18,7 +18,7 @@ from ..plans.config import ForestParams
 from .projection import _ddl, block, descend, directions, matrix, packed, project, route_expression, uniform
 
 LOCAL_ROWS = 1_000_000  # points of a tree that one task may split
-SAMPLE_ROWS = 1_000_000  # points that fit the splits of a larger table
+SAMPLE_ROWS = 1_000_000  # points that fit the splits of build "sample"
 INLINE_SPLITS = 4_096  # split values written into an expression; beyond, blocks of points are routed in Arrow
 
 
@@ -125,7 +125,7 @@ def build_forest(points: DataFrame, params: ForestParams) -> Forest:
     if params.split == "fractile":
         build = "level_fractile"
     elif build == "auto":
-        build = "tree_local" if n <= LOCAL_ROWS else "sample"
+        build = "tree_local" if n <= LOCAL_ROWS else "level_exact"
     if build == "sample":
         share = min(1.0, SAMPLE_ROWS / max(1, n))
         proj = materialised(proj.where(uniform(params.seed, F.col("id"), "sample") < share), "sample")

@@ -20,7 +20,7 @@ class ForestParams:
     direction_scope: level (one direction for all nodes of a level) or node (one for each node).
     split: median, or fractile (a hashed fraction between 1/4 and 3/4 at each node).
     tie: threshold (values at or below the median go left) or rank (the first ceil(n/2) by value and id do).
-    build: tree_local, level_exact, level_sketch, sample, or auto by the number of points.
+    build: tree_local, level_exact, level_sketch, sample, or auto: exact medians, by tree or by level as the number of points has it.
     """
 
     trees: int = 16

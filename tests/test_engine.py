@@ -134,3 +134,11 @@ def test_points_are_numbered_without_gaps(spark):
     counted.count = lambda: 2_000_000  # as a large table would
     edges = ba.knn_graph(counted, 4, rounds=1).edges.groupBy("u").count().collect()
     assert {r.u for r in edges} == set(ids) and {r["count"] for r in edges} <= {1, 2, 3, 4}
+
+
+def test_auto_takes_exact_medians_at_every_size(setting, forest, monkeypatch):
+    monkeypatch.setattr(fo, "LOCAL_ROWS", 50)
+    monkeypatch.setattr(fo, "SAMPLE_ROWS", 50)
+    large = fo.build_forest(setting[0], P)
+    assert np.array_equal(large.splits, forest.splits)
+    assert sorted(map(str, large.codes.collect())) == sorted(map(str, forest.codes.collect()))
