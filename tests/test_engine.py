@@ -142,3 +142,20 @@ def test_auto_takes_exact_medians_at_every_size(setting, forest, monkeypatch):
     large = fo.build_forest(setting[0], P)
     assert np.array_equal(large.splits, forest.splits)
     assert sorted(map(str, large.codes.collect())) == sorted(map(str, forest.codes.collect()))
+
+
+@pytest.mark.parametrize("functions", [1, 2])
+def test_multi_probe_ranks_every_bucket(setting, functions):
+    points, queries = setting
+    hashed = ba.cross_polytope(points, 2, functions)
+    seen = {}
+    for r in hashed.visits(queries, 60).orderBy("qid", "nth").collect():
+        seen.setdefault(r.qid, []).append((r.part, r.cell))
+    for q in queries.collect():
+        want = []
+        for t in range(2):
+            y = hashed.rotations[t] @ np.array(q.qvec)
+            loss = np.concatenate([y, -y], 1).max(1, keepdims=True) - np.concatenate([y, -y], 1)
+            total = loss[0] if functions == 1 else (loss[0][:, None] + loss[1]).ravel()
+            want += [(x, t, b) for b, x in enumerate(total)]
+        assert len(seen[q.qid]) == 60 == len(set(seen[q.qid])) and set(seen[q.qid]) == {(t, b) for _, t, b in sorted(want)[:60]}
