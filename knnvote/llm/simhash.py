@@ -2,17 +2,17 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+from collections.abc import Iterable
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import similar
 from .common import settle, small_batches
 from .components import connected_components
+from .similar import shingle_hashes
 
 SHINGLE = 3  # words, as the query's contract states
 RADIUS = 2  # differing bits
@@ -24,18 +24,6 @@ LEAF = 1024  # residents below which a shard compares in blocks
 
 # ---- fingerprints -------------------------------------------------------------------------
 
-def shingle_hashes(text: bytes | None, shingle: int = SHINGLE) -> Iterator[bytes]:
-    """XXH64 digests of a text's word shingles, repeats included, in blocks; one of the whole sequence where it is shorter."""
-    words = text.lower().split() if text else []
-    if words and len(words) <= shingle:
-        yield xxhash.xxh64_digest(b" ".join(words), 42)
-        return
-    digest, n = xxhash.xxh64_digest, len(words) - shingle + 1
-    for at in range(0, n, 1 << 16):
-        part = words[at : at + (1 << 16) + shingle - 1]
-        yield b"".join([digest(b" ".join(t), 42) for t in zip(*(part[i:] for i in range(shingle)), strict=False)])
-
-
 def fingerprint(text: bytes | None, shingle: int = SHINGLE) -> int:
     """64-bit SimHash of a text's word shingles; 0 without words. A bit is set if over half of the hashes have it."""
     return _majority(shingle_hashes(text, shingle))
@@ -52,13 +40,14 @@ def _majority(blocks: Iterable[bytes]) -> int:
 def with_fingerprint(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", shingle: int = SHINGLE, sketch: bool = False) -> DataFrame:
     """(doc_id, fp long): one narrow row per document. Null and blank texts have fingerprint 0.
 
-    With `sketch`, also the text's XXH64, the min-hash band keys and the minima's low bytes; texts without words have no sketch.
+    With `sketch`, also the text's XXH64, the min-hash band keys, the minima's low bytes and the number of shingles; texts without
+    words have no sketch.
     """
     small_batches(docs.sparkSession)
 
     def run(batches):
         for b in batches:
-            fps, keys, least = [], [], []
+            fps, keys, least, size = [], [], [], []
             for t in b.column(1).to_pylist():
                 blocks = list(shingle_hashes(None if t is None else memoryview(t).tobytes(), shingle))
                 fps.append(_majority(blocks))
@@ -66,10 +55,11 @@ def with_fingerprint(docs: DataFrame, doc_id: str = "doc_id", text: str = "text"
                     m = similar.minima(np.frombuffer(b"".join(blocks), "<u8")) if blocks else None
                     keys.append([] if m is None else similar.band_keys(m))
                     least.append(b"" if m is None else m.astype(np.uint8).tobytes())
-            more = [b.column(2), pa.array(keys, pa.list_(pa.int64())), pa.array(least, pa.binary())] if sketch else []
-            yield pa.record_batch([b.column(0), pa.array(np.array(fps, np.uint64).view(np.int64)), *more], names=["doc_id", "fp", "tid", "keys", "least"][: 2 + len(more)])
+                    size.append(sum(map(len, blocks)) // 8)
+            more = [b.column(2), pa.array(keys, pa.list_(pa.int64())), pa.array(least, pa.binary()), pa.array(size, pa.int64())] if sketch else []
+            yield pa.record_batch([b.column(0), pa.array(np.array(fps, np.uint64).view(np.int64)), *more], names=["doc_id", "fp", "tid", "keys", "least", "n"][: 2 + len(more)])
 
-    schema = "doc_id long, fp long" + (", tid long, keys array<bigint>, least binary" if sketch else "")
+    schema = "doc_id long, fp long" + (", tid long, keys array<bigint>, least binary, n long" if sketch else "")
     whole = [similar.text_id(text).alias("tid")] if sketch else []
     return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("binary").alias("t"), *whole).mapInArrow(run, schema)
 
@@ -247,26 +237,27 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     if similarity is None:
         label = connected_components(settle(links, "links"))
     else:
-        label = _with_similar(links, fps, groups, docs, similarity, shingle, text)
+        label = _with_similar(links, fps, groups, docs, similarity, shingle, doc_id, text)
     classes = groups.join(label, "node", "left").select("fp", F.coalesce("component", "node").alias("component_id"))
     return fps.join(classes, "fp", "left").select("doc_id", "fp", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
 
 
-def _with_similar(links: DataFrame, fps: DataFrame, groups: DataFrame, docs: DataFrame, similarity: float, shingle: int, text: str) -> DataFrame:
+def _with_similar(links: DataFrame, fps: DataFrame, groups: DataFrame, docs: DataFrame, similarity: float, shingle: int, doc_id: str, text: str) -> DataFrame:
     """(node, component) over the links and the pairs of similar texts; every distinct text is sketched.
 
     Pairs with the heads of bands join large groups first; then all pairs of a band that still lie apart are tried.
     """
-    named = fps.where("doc_id is not null and size(keys) > 0").groupBy("tid").agg(F.first("fp").alias("fp"), F.first("keys").alias("keys"), F.first("least").alias("least"))
-    sketches = settle(named.join(groups, "fp").select(F.col("tid").alias("node"), F.col("node").alias("member"), "keys", "least"), "sketches")
+    kept = [F.min_by(c, "doc_id").alias(c) for c in ("fp", "keys", "least", "n")]
+    named = fps.where("doc_id is not null and size(keys) > 0").groupBy("tid").agg(*kept, F.min("doc_id").alias("doc"))
+    sketches = settle(named.join(groups, "fp").select(F.col("tid").alias("node"), F.col("node").alias("member"), "keys", "least", "n", "doc"), "sketches")
     shared = similar.shared_bands(sketches)
     docs = docs.where(F.col(text).isNotNull())
     named_by = lambda pairs, kind, of: pairs.join(of.select(F.col("node").alias("a"), F.col(kind).alias("u")), "a").join(of.select(F.col("node").alias("b"), F.col(kind).alias("v")), "b").select(F.col("u").alias("a"), F.col("v").alias("b"))
-    first = similar.confirmed(similar.candidates(sketches, shared, similarity), docs, similarity, shingle, text)
+    first = similar.confirmed(similar.head_cells(similar.to_heads(sketches, shared, similarity), sketches), docs, similarity, shingle, doc_id, text)
     label = settle(connected_components(settle(links.unionByName(named_by(first, "member", sketches)), "links")), "label")
-    placed = sketches.join(label.withColumnRenamed("node", "member"), "member", "left").select("node", F.coalesce("component", "member").alias("part"), "least")
+    placed = sketches.join(label.withColumnRenamed("node", "member"), "member", "left").select("node", F.coalesce("component", "member").alias("part"), "keys", "least", "n", "doc")
     placed = settle(placed, "placed")
-    more = similar.confirmed_in_chunks(similar.remaining(placed, shared, similarity), docs, similarity, shingle, text)
+    more = similar.confirmed(similar.apart(placed, shared, similarity), docs, similarity, shingle, doc_id, text)
     joined = label.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(named_by(more, "part", placed))
     return connected_components(settle(joined, "links"))
 
