@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 import re
 import textwrap
 import zlib
@@ -317,3 +318,98 @@ def test_url_templates_reject_what_labels_show(spark):
     labels = spark.createDataFrame([(i, True) for i in range(12)] + [(100 + i, False) for i in range(12)], "page_id long, bad boolean")
     got = {r.page_id: r.verdict for r in urltree.judge(spark.createDataFrame(urls, "page_id long, url string"), labels=labels).collect()}
     assert all(got[i] == "block" and got[100 + i] == "allow" for i in range(20))
+
+
+def _url_tree(pages, distinct=8, share=0.2, overlap=0.5, z=1.96, strength=4.0):
+    """{(host, segs): (template, share)} of pages (host, segs, bad or None), by loops."""
+    shapes = {}
+    for host, segs, bad in pages:
+        n, known, worse = shapes.get((host, segs), (0, 0, 0))
+        shapes[host, segs] = (n + 1, known + (bad is not None), worse + bool(bad))
+    path = {k: list(k[1]) for k in shapes}
+    depth = max(len(k[1]) for k in shapes)
+    md5 = lambda p: hashlib.md5("/".join(p).encode()).hexdigest()
+
+    def under(level):
+        out = {}
+        for k in shapes:
+            if len(path[k]) > level:
+                out.setdefault((k[0], tuple(path[k][:level])), []).append(k)
+        return out.values()
+
+    for level in range(depth):
+        for mine in under(level):
+            values, n = {path[k][level] for k in mine}, sum(shapes[k][0] for k in mine)
+            if len(values) >= distinct and len(values) >= share * n:
+                for k in mine:
+                    path[k][level] = path[k][level] and "*"
+    for level in reversed(range(depth)):
+        for mine in under(level):
+            held = {}
+            for k in mine:
+                held.setdefault(path[k][level], {}).setdefault(md5(path[k][level + 1 :]), []).append(k)
+            size = {b: {x: sum(shapes[k][0] for k in ks) for x, ks in v.items()} for b, v in held.items()}
+            mode = {b: max((n, x) for x, n in v.items())[1] for b, v in size.items()}
+            for m in set(mode.values()):
+                family = [b for b in mode if mode[b] == m]
+                if len(family) < 2:
+                    continue
+                known, worse = ({b: sum(shapes[k][c] for ks in held[b].values() for k in ks) for b in family} for c in (1, 2))
+                total = sum(sum(size[b].values()) for b in family)
+                for b in family:
+                    own = sum(size[b].values())
+                    common = sum(min(n / own, sum(size[o].get(x, 0) for o in family) / total) for x, n in size[b].items())
+                    p = sum(worse.values()) / max(1, sum(known.values()))
+                    if common >= overlap and (not known[b] or abs(worse[b] / known[b] - p) <= z * (p * (1 - p) / known[b]) ** 0.5 + 1e-9):
+                        for ks in held[b].values():
+                            for k in ks:
+                                path[k][level] = "~" + m[:8]
+    total = lambda ks, c: sum(shapes[k][c] for k in ks)
+    base = total(shapes, 2) / total(shapes, 1) if total(shapes, 1) else 0.5
+    out = {}
+    for k in shapes:
+        host, group = [j for j in shapes if j[0] == k[0]], [j for j in shapes if j[0] == k[0] and path[j] == path[k]]
+        prior = (total(host, 2) + strength * base) / (total(host, 1) + strength)
+        out[k] = ("/" + "/".join(path[k]), (total(group, 2) + strength * prior) / (total(group, 1) + strength))
+    return out
+
+
+def test_url_tree_is_that_of_loops(spark):
+    rng = np.random.default_rng(12)
+    word = lambda k: [str(rng.choice([f"{c}{k}" for c in "abcdefghijkl"[: 2 + 3 * k]])) for k in range(int(rng.integers(0, k)))]
+    pages = []
+    for _ in range(900):
+        segs = [*word(6), str(rng.choice(["*", "*.html", "", "x"]))]
+        p = 0.9 if segs[0] == "a0" else 0.1
+        pages.append((str(rng.choice(["h.org", "g.net", "f.com"], p=[0.7, 0.2, 0.1])), tuple(segs), bool(rng.random() < p) if rng.random() < 0.4 else None))
+    deep = ["q"] * 400
+    pages += [("deep.org", (*deep, *(["r"] * 300), "s"), True), ("deep.org", (*deep, "t", "u"), None), ("deep.org", (*deep, "t", "v"), False)]
+    want = _url_tree(pages)
+    rows = spark.createDataFrame([(h, list(s), b) for h, s, b in pages], "host string, segs array<string>, bad boolean")
+    got = {(r.host, tuple(r.segs)): (r.template, r.bad_share) for r in urltree.template_tree(rows).collect()}
+    assert got.keys() == want.keys() and {k: v[0] for k, v in got.items()} == {k: v[0] for k, v in want.items()}
+    assert all(abs(got[k][1] - want[k][1]) < 1e-12 for k in want)
+    assert any("~" in v[0] for v in want.values()) and any("*" in v[0].split("/") for v in want.values()) and len({round(v[1], 3) for v in want.values()}) > 5
+
+
+def test_url_purity_parts_deep_branches(spark):
+    urls = [(i, f"http://h.org/a/b/c/d/spam/{i}") for i in range(20)] + [(100 + i, f"http://h.org/a/b/c/d/news/{i}") for i in range(20)] + [(300, "http://other.org/a/b/c/d/spam/1")]
+    labels = spark.createDataFrame([(i, True) for i in range(15)] + [(100 + i, False) for i in range(3)], "page_id long, bad boolean")
+    got = {r.page_id: (r.verdict, r.template) for r in urltree.judge(spark.createDataFrame(urls, "page_id long, url string"), labels=labels).collect()}
+    assert all(got[i][0] == "block" and got[100 + i][0] == "allow" for i in range(20)) and got[300][0] == "allow" and "//" not in got[0][1]
+
+
+def test_url_siblings_without_labels_join(spark):
+    urls = [(100 * k + i, f"http://h.example.net/{lang}/{i}{'/' if i % 2 else '.html'}") for k, lang in enumerate(("en", "de", "es", "fr")) for i in range(40)]
+    got = {r.page_id: r for r in urltree.judge(spark.createDataFrame(urls, "page_id long, url string")).collect()}
+    assert {got[i].rule for i in (200, 300)} == {"net/es/", "net/fr/"} and got[0].rule is None
+    assert all(got[i].verdict == "block" and got[i].bad_share > 0.9 for i in got)
+
+
+def test_url_edges(spark):
+    schema = "page_id long, url string, host string, path string, bad boolean, template string, n long"
+    odd = [None, "", "://", "a://", "a://h", "a://h/", "a://h//", "x://h/" + "s/" * 3000, "x://h/" + "t/" * 2999, "x://h/" + "y" * 100_000, "a://h/", "a://h?x/y", "A://H#f"]
+    rows = spark.createDataFrame([(i if i != 4 else None, u, "clash", "clash", True, "clash", 7) for i, u in enumerate(odd)], schema)
+    got = urltree.judge(rows.union(rows)).collect()
+    assert len(got) == 2 * len(odd) and {r.verdict for r in got} == {"allow"} and {r.host for r in got} == {"", "h"}
+    assert urltree.judge(rows.where("false")).count() == 0
