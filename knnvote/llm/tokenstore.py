@@ -4,10 +4,11 @@ Folder layout, all Parquet:
 
 - ``chunks``: (hash, n, payload) - every distinct chunk once; payload is the zstandard-compressed ids,
   little-endian, two bytes each where the vocabulary fits them and four otherwise.
-- ``recipes``: (doc_id, start, n_tokens, root, hashes, part) in ascending doc_id order; hashes are the
-  16-byte addresses of the document's chunks, root is the Merkle root over them, start the number of ids
-  in all documents before.
-- ``manifest``: (part, docs, ids, root): one Merkle root over the document roots of every part.
+- ``recipes``: (doc_id, start, n_tokens, root, hashes, part), files and rows in ascending doc_id order; hashes are
+  the 16-byte addresses of the document's chunks, root is the Merkle root over them, start the number of ids
+  in all documents before, part a range of documents.
+- ``manifest``: (part, start, docs, ids, root): one Merkle root over the recipes of every part.
+- ``head``: (parts, docs, ids, root): one row, whose root is over those of the parts and names the store.
 """
 
 from __future__ import annotations
@@ -238,14 +239,15 @@ def _cut_up(vocabulary: str, end: int):
 
 
 def _once(batches):
-    """Drops chunks that this partition has had; all copies of a chunk meet in one partition, a few from each task."""
-    seen = set()
+    """Drops chunks that came before; all copies of a chunk have one key, and rows come in the order of keys."""
+    last, seen = None, set()
     for b in batches:
         keep = []
-        for h in b.column(b.schema.get_field_index("hash")).to_pylist():
+        for key, h in zip(b.column(b.schema.get_field_index("key")).to_pylist(), b.column(b.schema.get_field_index("hash")).to_pylist(), strict=True):
+            if key != last:
+                last, seen = key, set()
             keep.append(h is None or h not in seen)
-            if h is not None:
-                seen.add(h)
+            seen.add(h)
         yield b.filter(pa.array(keep))
 
 
@@ -268,24 +270,49 @@ def write_store(docs: DataFrame, path: str, doc_id: str = "doc_id", text: str =
     spark = docs.sparkSession
     small_batches(spark)
     cut = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("t")).mapInArrow(_cut_up(vocabulary, end), _INTAKE)
-    once = cut.repartition("key").mapInArrow(_once, _INTAKE)
+    once = cut.repartition("key").sortWithinPartitions("key").mapInArrow(_once, _INTAKE)
     once.drop("key").write.option("compression", "zstd").partitionBy("kind").parquet(f"{path}/intake")
     intake = spark.read.schema("doc_id long, n_tokens long, hashes binary, hash binary, n int, payload binary, kind string").parquet(f"{path}/intake")
     recipes = intake.where("kind = 'recipe'").select("doc_id", "n_tokens", "hashes").mapInArrow(_roots, "doc_id long, n_tokens long, hashes binary, root binary")
     ranged = settle(recipes.repartitionByRange("doc_id", "root").withColumn("part", F.spark_partition_id()), "recipes")
-    # one row a partition
+    # one row a part
     sums = ranged.groupBy("part").agg(F.sum("n_tokens").alias("ids"))
     before = sums.select("part", (F.sum("ids").over(W.orderBy("part").rowsBetween(W.unboundedPreceding, -1))).alias("base"))
     inside = W.partitionBy("part").orderBy("doc_id", "root")
     started = ranged.join(F.broadcast(before), "part").withColumn("start", F.coalesce("base", F.lit(0)) + F.coalesce(F.sum("n_tokens").over(inside.rowsBetween(W.unboundedPreceding, -1)), F.lit(0)))
-    started.select("doc_id", "start", "n_tokens", "root", "hashes", "part").write.parquet(f"{path}/recipes")
-    manifest = _recipes(spark, path).select("part", "doc_id", "n_tokens", "root", "start").groupBy("part").applyInArrow(_manifest, "part int, docs long, ids long, root binary")
+    started = started.select("doc_id", "start", "n_tokens", "root", "hashes", "part")
+    started.repartitionByRange("start").sortWithinPartitions("start").write.parquet(f"{path}/recipes")
+    manifest = _sealed(_recipes(spark, path))
     manifest.coalesce(1).write.parquet(f"{path}/manifest")
+    _head(_manifest(spark, path)).coalesce(1).write.parquet(f"{path}/head")
 
 
-def _manifest(t: pa.Table) -> pa.Table:
-    t = t.sort_by([("start", "ascending")])
-    return pa.table({"part": t.column("part").slice(0, 1), "docs": [len(t)], "ids": [sum(t.column("n_tokens").to_pylist())], "root": pa.array([merkle(t.column("root").to_pylist())], pa.binary())})
+_PART = "part int, start long, docs long, ids long, root binary"
+_HEAD = "parts long, docs long, ids long, root binary"
+
+
+def _sealed(recipes: DataFrame) -> DataFrame:
+    """The manifest that recipes give: a row a part, over its recipes in the order of their starts. Raises where starts leave gaps."""
+    def seal(t: pa.Table) -> pa.Table:
+        t = t.sort_by([("start", "ascending")])
+        doc, start, n, root = (t.column(c).to_pylist() for c in ("doc_id", "start", "n_tokens", "root"))
+        if any(a + b != c for a, b, c in zip(start, n, start[1:], strict=False)):
+            raise ValueError(f"recipes of part {t.column('part')[0]} do not follow one another")
+        leaves = [address(repr((d, s, k)).encode() + r) for d, s, k, r in zip(doc, start, n, root, strict=True)]
+        return pa.table({"part": t.column("part").slice(0, 1), "start": [start[0]], "docs": [len(t)], "ids": [sum(n)], "root": pa.array([merkle(leaves)], pa.binary())})
+
+    return recipes.select("part", "doc_id", "start", "n_tokens", "root").groupBy("part").applyInArrow(seal, _PART)
+
+
+def _head(manifest: DataFrame) -> DataFrame:
+    """The one row that names a store, from its manifest, which has a row a part. Raises where parts leave gaps."""
+    rows, at = manifest.orderBy("part").collect(), 0
+    for r in rows:
+        if r["start"] != at:
+            raise ValueError(f"part {r['part']} begins at {r['start']}, not at {at}")
+        at += r["ids"]
+    head = [(len(rows), sum(r["docs"] for r in rows), at, bytearray(merkle([bytes(r["root"]) for r in rows])))]
+    return manifest.sparkSession.createDataFrame(head, _HEAD)
 
 
 # ---- reading ------------------------------------------------------------------------------
@@ -294,8 +321,28 @@ def _recipes(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.schema("doc_id long, start long, n_tokens long, root binary, hashes binary, part int").parquet(f"{path}/recipes")
 
 
+def _manifest(spark: SparkSession, path: str) -> DataFrame:
+    return spark.read.schema(_PART).parquet(f"{path}/manifest")
+
+
+def verify(spark: SparkSession, path: str) -> bytes:
+    """The root that names the store; raises ValueError where the recipes are not those of the manifest, or the manifest not that of the head.
+
+    A recipe that is missing, added, repeated, swapped with another or moved changes its part's root.
+    """
+    listed = _manifest(spark, path)
+    mine, theirs = _sealed(_recipes(spark, path)), listed
+    other = mine.exceptAll(theirs).unionByName(theirs.exceptAll(mine)).select("part").limit(1).collect()
+    if other:
+        raise ValueError(f"part {other[0][0]} of the recipes is not what the manifest says")
+    head, stored = _head(listed).first(), spark.read.schema(_HEAD).parquet(f"{path}/head").collect()
+    if stored != [head]:
+        raise ValueError("the manifest is not the one that the head names")
+    return bytes(head["root"])
+
+
 def _chunks(spark: SparkSession, path: str) -> DataFrame:
-    return spark.read.schema("hash binary, n int, payload binary").parquet(f"{path}/intake/kind=chunk")
+    return spark.read.schema("hash binary, n int, payload binary, kind string").parquet(f"{path}/intake").where("kind = 'chunk'").drop("kind")
 
 
 def _opened(h: bytes, n: int, payload: bytes, unpack) -> np.ndarray:
@@ -307,40 +354,44 @@ def _opened(h: bytes, n: int, payload: bytes, unpack) -> np.ndarray:
 
 
 def _places(recipes: DataFrame) -> DataFrame:
-    """(start, doc_id, root, pos, hash): a row for each chunk of each document."""
+    """(start, doc_id, n_tokens, root, pos, hash): a row for each chunk of each document."""
     at = F.sequence(F.lit(0), F.expr(f"int(length(hashes) div {ADDRESS}) - 1"))
-    return recipes.select("start", "doc_id", "root", F.explode(F.transform(at, lambda i: F.struct(i.alias("pos"), F.substring(F.col("hashes"), i * ADDRESS + 1, F.lit(ADDRESS)).alias("hash")))).alias("c")).select("start", "doc_id", "root", "c.pos", "c.hash")
+    return recipes.select("start", "doc_id", "n_tokens", "root", F.explode(F.transform(at, lambda i: F.struct(i.alias("pos"), F.substring(F.col("hashes"), i * ADDRESS + 1, F.lit(ADDRESS)).alias("hash")))).alias("c")).select("start", "doc_id", "n_tokens", "root", "c.pos", "c.hash")
 
 
 def read_digests(spark: SparkSession, path: str) -> DataFrame:
     """(doc_id, start, n_tokens, ids_crc32, verified) for every document, from the files.
 
-    Each chunk is read once, unpacked and held against its address; a document is verified if its
-    chunks are all there and their addresses give the root of its recipe. Ids are counted and their
-    crc32 taken as little-endian unsigned 32-bit integers, joined from those of the chunks.
+    The recipes are held against the manifest first. Each chunk is read once, unpacked and held against its address; a
+    document is verified if its chunks are all there, their addresses give the root of its recipe and they hold as many ids as
+    it says. Whatever fails raises ValueError. The ids' crc32 is taken as of little-endian unsigned 32-bit integers, joined
+    from those of the chunks.
     """
+    verify(spark, path)
+
     def digest(batches):
         unpack = zstandard.ZstdDecompressor()
         for b in batches:
-            crcs = [zlib.crc32(_opened(h, n, p, unpack).astype("<u4").tobytes()) for h, n, p in zip(*(c.to_pylist() for c in b.columns), strict=True)]
-            yield pa.record_batch([b.column(0), b.column(1), pa.array(crcs, pa.int64())], names=["hash", "n", "crc"])
+            ids = [_opened(h, n, p, unpack) for h, n, p in zip(*(c.to_pylist() for c in b.columns), strict=True)]
+            crcs = [zlib.crc32(x.astype("<u4").tobytes()) for x in ids]
+            yield pa.record_batch([b.column(0), pa.array([len(x) for x in ids], pa.int32()), pa.array(crcs, pa.int64())], names=["hash", "n", "crc"])
 
     def whole(batches):
         for b in batches:
-            doc, start, root, parts = (c.to_pylist() for c in b.columns)
+            doc, _, size, root, parts = (c.to_pylist() for c in b.columns)
             parts = [sorted(p, key=lambda x: x["pos"]) for p in parts]
-            fine = [all(x["n"] is not None for x in p) and merkle([x["hash"] for x in p]) == r for p, r in zip(parts, root, strict=True)]
+            fine = [all(x["n"] is not None for x in p) and merkle([x["hash"] for x in p]) == r and sum(x["n"] for x in p) == k for p, r, k in zip(parts, root, size, strict=True)]
             if not all(fine):
                 raise ValueError(f"document {doc[fine.index(False)]} can't be put together from its chunks")
             yield pa.record_batch(
-                [b.column(0), b.column(1), pa.array([sum(x["n"] for x in p) for p in parts], pa.int64()), pa.array([crc_joined([(x["crc"], 4 * x["n"]) for x in p]) for p in parts], pa.int64()), pa.array(fine)],
+                [b.column(0), b.column(1), b.column(2), pa.array([crc_joined([(x["crc"], 4 * x["n"]) for x in p]) for p in parts], pa.int64()), pa.array(fine)],
                 names=["doc_id", "start", "n_tokens", "ids_crc32", "verified"],
             )
 
     chunks = _chunks(spark, path).mapInArrow(digest, "hash binary, n int, crc long")
     places = _places(_recipes(spark, path)).join(chunks, "hash", "left")
-    docs = places.groupBy("start", "doc_id", "root").agg(F.collect_list(F.struct("pos", "hash", "n", "crc")).alias("parts"))
-    return docs.select("doc_id", "start", "root", "parts").mapInArrow(whole, "doc_id long, start long, n_tokens long, ids_crc32 long, verified boolean")
+    docs = places.groupBy("start", "doc_id", "n_tokens", "root").agg(F.collect_list(F.struct("pos", "hash", "n", "crc")).alias("parts"))
+    return docs.select("doc_id", "start", "n_tokens", "root", "parts").mapInArrow(whole, "doc_id long, start long, n_tokens long, ids_crc32 long, verified boolean")
 
 
 def read_ids(spark: SparkSession, path: str, doc_ids: DataFrame | None = None) -> DataFrame:
@@ -358,9 +409,3 @@ def read_ids(spark: SparkSession, path: str, doc_ids: DataFrame | None = None) -
     chunks = _chunks(spark, path).join(places.select("hash").distinct(), "hash", "left_semi").mapInArrow(opened, "hash binary, ids array<int>")
     docs = places.join(chunks, "hash").groupBy("start", "doc_id").agg(F.array_sort(F.collect_list(F.struct("pos", "ids"))).alias("parts"))
     return docs.select("doc_id", "start", F.flatten(F.transform("parts", lambda p: p["ids"])).alias("ids"))
-
-
-def manifest_root(spark: SparkSession, path: str) -> bytes:
-    """The root over all parts, which names the whole store."""
-    rows = spark.read.parquet(f"{path}/manifest").orderBy("part").select("root").collect()  # one row a part
-    return merkle([bytes(r[0]) for r in rows])

@@ -4,11 +4,13 @@ from __future__ import annotations
 
 import hashlib
 import re
+import shutil
 import textwrap
 import zlib
 
 import numpy as np
 import pytest
+import zstandard
 from pyspark.sql import functions as F
 
 from knnvote.llm import langid, licenses, mih, mixing, sharding, simhash, similar, tokenstore, toxicity, urltree, winnowing
@@ -286,7 +288,48 @@ def test_token_store_round_trip(spark, tmp_path):
         start += len(want)
     chunks = spark.read.parquet(f"{path}/intake/kind=chunk")
     assert chunks.count() == chunks.select("hash").distinct().count()
-    assert len(tokenstore.manifest_root(spark, path)) == 16
+    assert len(tokenstore.verify(spark, path)) == 16
+    order = [r.doc_id for f in sorted((tmp_path / "store" / "recipes").glob("*.parquet")) for r in spark.read.parquet(str(f)).collect()]
+    assert order == sorted(order)
+
+
+def test_token_store_notices_damage(spark, tmp_path):
+    rows = docs(spark, [f"text {i} of some words " * (i + 1) for i in range(40)])
+    good = tmp_path / "good"
+    tokenstore.write_store(rows, str(good))
+
+    def damaged(name, table, change):
+        bad = tmp_path / name
+        shutil.copytree(good, bad)
+        df = change(spark.read.parquet(str(good / table)))
+        shutil.rmtree(bad / table)
+        df.write.parquet(str(bad / table))
+        with pytest.raises(Exception, match="recipes|part|manifest|address|put together"):
+            tokenstore.read_digests(spark, str(bad)).collect()
+
+    first = spark.read.parquet(str(good / "recipes")).orderBy("doc_id").collect()[:2]
+    swap = lambda c: F.when(F.col("doc_id") == 0, F.lit(first[1][c])).when(F.col("doc_id") == 1, F.lit(first[0][c])).otherwise(F.col(c))
+    damaged("swapped", "recipes", lambda df: df.withColumns({c: swap(c) for c in ("root", "hashes")}))
+    damaged("copied", "recipes", lambda df: df.withColumns({c: F.when(F.col("doc_id") == 0, F.lit(first[1][c])).otherwise(F.col(c)) for c in ("root", "hashes", "n_tokens")}))
+    damaged("missing", "recipes", lambda df: df.where("doc_id <> 39"))
+    damaged("twice", "recipes", lambda df: df.union(df.where("doc_id = 3")))
+    damaged("moved", "recipes", lambda df: df.withColumn("start", F.col("start") + 1))
+    damaged("cut", "manifest", lambda df: df.where("part <> 0"))
+    damaged("other", "manifest", lambda df: df.withColumn("ids", F.col("ids") + 1))
+    chunk = "intake/kind=chunk"
+    pick = spark.read.parquet(str(good / chunk)).orderBy("hash").first()
+    damaged("altered", chunk, lambda df: df.withColumn("payload", F.when(F.col("hash") == F.lit(pick.hash), F.lit(bytes(zstandard.ZstdCompressor().compress(b"ab" * pick.n)))).otherwise(F.col("payload"))))
+    damaged("lost", chunk, lambda df: df.where(F.col("hash") != F.lit(pick.hash)))
+    assert tokenstore.read_digests(spark, str(good)).count() == 40
+
+
+def test_token_store_edges(spark, tmp_path):
+    odd = docs(spark, [None, "", "a", "a"]).withColumn("doc_id", F.when(F.col("doc_id") > 0, F.col("doc_id") % 2))
+    tokenstore.write_store(odd.union(odd), str(tmp_path / "odd"))
+    got = tokenstore.read_digests(spark, str(tmp_path / "odd")).orderBy("start").collect()
+    assert [r.doc_id for r in got] == [None] * 2 + [0] * 2 + [1] * 4 and got[-1].start + got[-1].n_tokens == sum(r.n_tokens for r in got)
+    tokenstore.write_store(odd.where("false"), str(tmp_path / "none"))
+    assert tokenstore.read_digests(spark, str(tmp_path / "none")).count() == 0
 
 
 def test_crc_joins():
