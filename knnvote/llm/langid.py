@@ -7,6 +7,7 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import crc_mod, seeded_hash, small_batches
@@ -82,20 +83,27 @@ class Profiles:
         return self.langs[best], (second - float(d[best])) / second if second else 0.0
 
 
-def train(docs: DataFrame, where: Column | None = None, text: str = "text", lang: str = "lang", doc_id: str = "doc_id", size: int = PROFILE, sample: int = SAMPLE) -> Profiles:
-    """Profiles from at most `sample` labelled texts, those with the least seeded hash of their id."""
-    known = docs.where(F.col(text).isNotNull() & F.col(lang).isNotNull())
+def train(docs: DataFrame, where: Column | None = None, text: str = "text", lang: str = "lang", doc_id: str = "doc_id", size: int = PROFILE, sample: int = SAMPLE, sample_bytes: int = SAMPLE_BYTES) -> Profiles:
+    """Profiles from at most `sample` labelled texts: an equal share for each language, those with the least seeded hash of their id.
+
+    Bytes are shared out too, and a language keeps its first text whatever its length. Rows without an id are not learned from. The
+    choice does not depend on the order in which the table is stored.
+    """
+    known = docs.where(F.col(text).isNotNull() & F.col(lang).isNotNull() & F.col(doc_id).isNotNull())
     if where is not None:
         known = known.where(where)
-    ids = known.select(seeded_hash("language", F.col(doc_id)).alias("h")).orderBy("h").limit(sample).agg(F.max("h").alias("most"))
-    most = ids.first()[0]
-    rows = known.where(seeded_hash("language", F.col(doc_id)) <= F.lit(most)).select(F.col(lang).alias("lang"), F.col(text).alias("t")).toLocalIterator() if most is not None else []
+    known = known.select(F.col(doc_id).cast("long").alias("i"), F.col(lang).cast("string").alias("lang"), F.col(text).alias("t"))
+    langs = known.select("lang").distinct().count()
+    if not langs:
+        return Profiles.of({}, size)
+    by = W.partitionBy("lang").orderBy("h", "i", "bytes")
+    rows = known.select("i", "lang", seeded_hash("language", F.col("i")).alias("h"), F.octet_length("t").cast("long").alias("bytes"))
+    few = rows.withColumn("nth", F.row_number().over(by)).where(F.col("nth") <= max(1, sample // langs))
+    few = few.withColumn("before", F.sum("bytes").over(by.rowsBetween(W.unboundedPreceding, -1))).where(f"nth = 1 or before + bytes <= {sample_bytes // langs}")
+    # at most `sample` rows of numbers, or one a language
+    chosen = F.broadcast(few.select("i", "lang", "h").distinct())
     counts: dict[str, list] = {}
-    total = 0
-    for r in rows:
-        total += len(r["t"])
-        if total > SAMPLE_BYTES:
-            break
+    for r in known.join(chosen, ["i", "lang"]).select("lang", "h", "i", "t").orderBy("lang", "h", "i", "t").toLocalIterator():
         held = counts.setdefault(r["lang"], [])
         held.append(gram_counts(r["t"]))
         if len(held) >= 256:

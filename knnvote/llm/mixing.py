@@ -71,9 +71,10 @@ def leaf_budgets(leaves: DataFrame, budget: int, epochs: int, weights: DataFrame
 
 
 def with_leaf(docs: DataFrame, domain: Column, lang: str = "lang", source: str = "source", doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """docs with its place in the tree, its tokens and its id as _domain, _lang, _source, _tokens, _id."""
+    """(_domain, _lang, _source, _tokens, _id, _row): the place of each row of docs in the tree, its tokens, its id, and the row itself."""
     named = lambda c: F.coalesce(c.cast("string"), F.lit(NONE))
-    return docs.withColumns({"_domain": named(domain), "_lang": named(F.col(lang)), "_source": named(F.col(source)), "_tokens": words(text), "_id": F.col(doc_id).cast("long")})
+    whole = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")
+    return docs.select(named(domain).alias("_domain"), named(F.col(lang)).alias("_lang"), named(F.col(source)).alias("_source"), words(text).alias("_tokens"), F.col(doc_id).cast("long").alias("_id"), whole)
 
 
 def _order_key(epoch: Column, seed: int, doc: str) -> Column:
@@ -153,8 +154,5 @@ def mix(docs: DataFrame, domain: Column, share: float = 0.5, epochs: int = 2, we
 def mixed_rows(docs: DataFrame, domain: Column, share: float = 0.5, weights: DataFrame | None = None, seed: int = 42) -> DataFrame:
     """The rows of docs that a mix of one epoch takes, all columns kept; rows don't move for it."""
     placed = with_leaf(docs, domain)
-    columns = docs.columns
-    plan = plan_mix(settle(placed.select("_domain", "_lang", "_source", "_tokens", "_id"), "placed"), share, 1, weights, seed)
-    keep = [F.col(c).alias(f"c_{k}") for k, c in enumerate(columns)]
-    taken = copies(placed.select(*[F.col(f"_{x}").alias(x) for x in LEVELS], "_tokens", "_id", *keep), plan, seed)
-    return taken.select(*[F.col(f"c_{k}").alias(c) for k, c in enumerate(columns)])
+    plan = plan_mix(settle(placed.drop("_row"), "placed"), share, 1, weights, seed)
+    return copies(placed.withColumnsRenamed({f"_{x}": x for x in LEVELS}), plan, seed).select("_row.*")

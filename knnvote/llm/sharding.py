@@ -102,8 +102,9 @@ def assign_rows(rows: DataFrame, doc_id: str = "doc_id", shards: int = SHARDS, v
 
 
 def write_shards(docs: DataFrame, path: str, doc_id: str = "doc_id", shards: int = SHARDS) -> None:
-    """Writes docs as one folder a shard, each file in the order of slots."""
-    assign_rows(docs, doc_id, shards).sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
+    """Writes docs as one folder a shard, `shard=0` and so on, each file in the order of slots: (slot, row struct of all columns)."""
+    rows = docs.select(F.col(doc_id).cast("long").alias("id"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    assign_rows(rows, "id", shards).select("shard", "slot", "row").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
 
 
 def measured(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:

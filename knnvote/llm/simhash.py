@@ -272,8 +272,8 @@ def one_of_each(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS, s
     repeated = found.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count() > 0
     kept = docs.join(keep, "doc_id", "left_semi")
     if repeated:
-        from pyspark.sql import Window as W
-
-        order = W.partitionBy("doc_id").orderBy(*[F.col(c) for c in ("text", *sorted(set(docs.columns) - {"text", "doc_id"}))])
-        kept = kept.withColumn("_nth", F.row_number().over(order)).where("_nth = 1").drop("_nth")
+        columns = ["text", *sorted(set(docs.columns) - {"text", "doc_id"})]
+        rows = kept.select(F.col("doc_id").alias("_own"), F.struct(*[F.col(f"`{c}`") for c in columns]).alias("_row"))
+        order = F.struct("_row.text", F.to_json("_row"))  # any column has a text, maps too
+        kept = rows.groupBy("_own").agg(F.min_by("_row", order).alias("_row")).select(*[F.col("_own" if c == "doc_id" else f"_row.`{c}`").alias(c) for c in docs.columns])
     return kept.unionByName(docs.where("doc_id is null"))

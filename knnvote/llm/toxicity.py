@@ -12,14 +12,14 @@ from pyspark.sql import functions as F
 
 from .common import blocks_of, crc_mod, seeded_hash, small_batches
 
-SIZES = (3, 4, 5, 6, 7)  # bytes of a lower-cased word with its borders
+SIZES = (3, 4, 5, 6, 7)  # characters of a lower-cased word with its borders
 BITS = 20  # n-grams hash into 2**BITS buckets
 SAMPLE = 6_000  # labelled texts that fit the model, at most; a third of them toxic where there are so many
 SAMPLE_BYTES = 30_000_000  # and their texts together, at most
 THRESHOLD = 0.7
 BLOCK = 1 << 18  # bytes hashed at a time
 
-_WORD = bytes(c + 32 if 65 <= c <= 90 else c if c >= 128 or chr(c).isalnum() else 32 for c in range(256))
+_WORD = np.array([chr(c).isalnum() for c in range(0x110000)])
 
 
 def _buckets(flat: np.ndarray, wanted: np.ndarray | None = None) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -38,10 +38,11 @@ def _buckets(flat: np.ndarray, wanted: np.ndarray | None = None) -> Iterator[tup
 
 
 def _flatten(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """All words of some texts, with a space before and after each text, and where each text begins."""
-    parts = [b" " + t.translate(_WORD) for t in texts]
+    """Code points of the lower-cased words of some texts, with a space before and after each text, and where each text begins."""
+    parts = [" " + t.decode("utf-8", "replace").lower() for t in texts]
     starts = np.cumsum([0, *map(len, parts)])
-    return np.frombuffer(b"".join(parts) + b" " * max(SIZES), np.uint8), starts
+    flat = np.frombuffer(("".join(parts) + " " * max(SIZES)).encode("utf-32-le", "replace"), np.uint32)
+    return np.where(_WORD[flat], flat, np.uint32(32)), starts
 
 
 @dataclass

@@ -200,7 +200,7 @@ def _item_blocks(benchmark: DataFrame, item_id: str, text: str):
 
 
 _SPAN = "array<struct<begin:long,end:long>>"
-_FOUND = f"doc_id long, text_key long, n_words long, spans {_SPAN}, items array<string>"
+_FOUND = f"doc_id long, text_key long, text_key2 long, n_words long, spans {_SPAN}, items array<string>"
 
 
 def shared_spans(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id", text: str = "text", item_id: str = "item_id", item_text: str = "text", keep_key: bool = False) -> DataFrame:
@@ -212,26 +212,26 @@ def shared_spans(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id",
     with several blocks the hits, which are few, are written and merged by document.
     """
     small_batches(docs.sparkSession)
-    narrow = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.xxhash64(text).alias("text_key"), F.col(text).cast("binary").alias("t"))
+    narrow = docs.select(F.col(doc_id).cast("long").alias("doc_id"), *_named(F.col(text)), F.col(text).cast("binary").alias("t"))
     base, more = None, []
     for block in _item_blocks(benchmark, item_id, item_text):
         found = _pass(narrow, block)
         if base is None:
             base = found
         else:
-            more.append(settle(found.where("size(spans) > 0").dropDuplicates(["doc_id", "text_key"]), "spans"))
+            more.append(settle(found.where("size(spans) > 0").dropDuplicates(["doc_id", "text_key", "text_key2"]), "spans"))
     if base is None:
         base = _pass(narrow, [])
     if not more:
-        return base if keep_key else base.drop("text_key")
+        return base if keep_key else base.drop("text_key", "text_key2")
     hits = more[0]
     for x in more[1:]:
         hits = hits.unionByName(x)
-    hits = hits.groupBy("doc_id", "text_key").agg(F.flatten(F.collect_list("spans")).alias("s2"), F.flatten(F.collect_list("items")).alias("i2")).select(F.col("doc_id").alias("d2"), F.col("text_key").alias("k2"), "s2", "i2")
-    both = base.join(hits, F.col("doc_id").eqNullSafe(F.col("d2")) & (F.col("text_key") == F.col("k2")), "left")
+    hits = hits.groupBy("doc_id", "text_key", "text_key2").agg(F.flatten(F.collect_list("spans")).alias("s2"), F.flatten(F.collect_list("items")).alias("i2")).select(F.col("doc_id").alias("d2"), F.col("text_key").alias("k2"), F.col("text_key2").alias("k3"), "s2", "i2")
+    both = base.join(hits, F.col("doc_id").eqNullSafe(F.col("d2")) & (F.col("text_key") == F.col("k2")) & (F.col("text_key2") == F.col("k3")), "left")
     none = F.array().cast(_SPAN)
     merged = F.aggregate(F.array_sort(F.concat("spans", F.coalesce("s2", none))), none, _joined)
-    return both.select("doc_id", *["text_key"] * keep_key, "n_words", merged.alias("spans"), F.array_sort(F.array_distinct(F.concat("items", F.coalesce("i2", F.array().cast("array<string>"))))).alias("items"))
+    return both.select("doc_id", *["text_key", "text_key2"] * keep_key, "n_words", merged.alias("spans"), F.array_sort(F.array_distinct(F.concat("items", F.coalesce("i2", F.array().cast("array<string>"))))).alias("items"))
 
 
 def _joined(spans, x):
@@ -241,33 +241,40 @@ def _joined(spans, x):
     return F.when((F.size(spans) > 0) & (x["begin"] <= F.try_element_at(spans, F.lit(-1))["end"]), grown).otherwise(F.concat(spans, F.array(x)))
 
 
+def _named(text) -> list:
+    """Two independent hashes of a text, which name it where the text itself would be too long; a null is as an empty text."""
+    text = F.coalesce(text.cast("string"), F.lit(""))
+    return [F.xxhash64(text).alias("text_key"), F.xxhash64(F.reverse(text), F.lit("second")).alias("text_key2")]
+
+
 def _pass(narrow: DataFrame, items: list[tuple[str | None, bytes]]) -> DataFrame:
     shared = narrow.sparkSession.sparkContext.broadcast(Passages.of(items))
 
     def run(batches):
         for b in batches:
-            for ids, keys, held in _held(b):
+            for ids, keys, keys2, held in _held(b):
                 found = scan(held, shared.value)
                 spans = [[{"begin": x, "end": y} for x, y in s] for _, s, _ in found]
                 yield pa.record_batch(
                     [
                         ids,
                         keys,
+                        keys2,
                         pa.array([n for n, _, _ in found], pa.int64()),
                         pa.array(spans, pa.list_(pa.struct([("begin", pa.int64()), ("end", pa.int64())]))),
                         pa.array([i for _, _, i in found], pa.list_(pa.string())),
                     ],
-                    names=["doc_id", "text_key", "n_words", "spans", "items"],
+                    names=["doc_id", "text_key", "text_key2", "n_words", "spans", "items"],
                 )
 
     return narrow.mapInArrow(run, _FOUND)
 
 
 def _held(b: pa.RecordBatch):
-    """(ids, keys, texts) of a batch in runs of about BLOCK bytes."""
+    """(ids, first keys, second keys, texts) of a batch in runs of about BLOCK bytes."""
     at = 0
-    for held in blocks_of([b"" if t is None else t for t in b.column(2).to_pylist()], len, BLOCK):
-        yield b.column(0).slice(at, len(held)), b.column(1).slice(at, len(held)), held
+    for held in blocks_of([b"" if t is None else t for t in b.column(3).to_pylist()], len, BLOCK):
+        yield *(b.column(k).slice(at, len(held)) for k in range(3)), held
         at += len(held)
 
 
@@ -293,8 +300,10 @@ def without_contaminated(docs: DataFrame, benchmark: DataFrame, text: str = "tex
     first, second = next(blocks, []), next(blocks, None)
     if second is not None:
         found = measured(shared_spans(docs, benchmark, text=text, keep_key=True), share).where("contaminated")
-        bad = settle(found.select(F.col("text_key").alias("_k")).distinct(), "contaminated")
-        return docs.withColumn("_k", F.xxhash64(text)).join(bad, "_k", "left_anti").select(*docs.columns)
+        # two hashes name a text: its own and that of its reverse
+        whole = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"), *_named(F.col(text)))
+        bad = settle(found.select("text_key", "text_key2").distinct(), "contaminated")
+        return whole.join(bad, ["text_key", "text_key2"], "left_anti").select("_row.*")
     shared, at = docs.sparkSession.sparkContext.broadcast(Passages.of(first)), docs.columns.index(text)
 
     def run(batches):
