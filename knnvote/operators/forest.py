@@ -3,8 +3,6 @@
 from __future__ import annotations
 
 import json
-import tempfile
-import uuid
 from dataclasses import asdict, dataclass
 
 import numpy as np
@@ -15,6 +13,7 @@ from pyspark.sql import functions as F
 
 from ..functions.vectors import packed_dot
 from ..plans.config import ForestParams
+from ..sources.storage import settle
 from .projection import _ddl, block, descend, directions, matrix, packed, project, route_expression, uniform
 
 LOCAL_ROWS = 1_000_000  # points of a tree that one task may split
@@ -22,20 +21,7 @@ SAMPLE_ROWS = 1_000_000  # points that fit the splits of build "sample"
 INLINE_SPLITS = 4_096  # split values written into an expression; beyond, blocks of points are routed in Arrow
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """spark.checkpoint.dir, or a temporary folder where it is unset."""
-    folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not folder:
-        folder = tempfile.mkdtemp(prefix="forest-")
-        spark.sparkContext.setCheckpointDir(folder)
-    return folder.rstrip("/")
-
-
-def materialised(df: DataFrame, name: str) -> DataFrame:
-    """df written into the shared folder and read again: cuts lineage and survives lost executors."""
-    path = f"{shared_folder(df.sparkSession)}/forest/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+materialised = settle  # tables that iterations go back to
 
 
 @dataclass

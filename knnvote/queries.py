@@ -21,6 +21,7 @@ from .plans import published
 from .plans import surface as su
 from .plans.config import ForestParams
 from .sources import tables as ta
+from .sources.storage import work_folder
 from .streaming import profiles as sp
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -564,7 +565,7 @@ def set_ops_recall(spark, sf_dir):
 
 
 def _stream_folder(spark):
-    return f"{fo.shared_folder(spark)}/streams/{uuid.uuid4().hex}"
+    return f"{work_folder(spark)}/streams/{uuid.uuid4().hex}"
 
 
 query(su.FOLLOWED, "stream_interval_join")(lambda spark, sf_dir: sp.collected(sp.followed(sp.event_stream(spark, sf_dir)), _stream_folder(spark)))
