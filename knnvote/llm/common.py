@@ -2,14 +2,14 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Iterable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Rows in one Arrow batch: whole texts travel in them, so a batch stays in the tens of megabytes.
+from ..sources.storage import clean, settle, shared_folder, work_folder  # noqa: F401
+
+#: Rows in one Arrow batch, where whole texts travel. Spark itself ends a batch at 64 MB (spark.sql.execution.arrow.maxBytesPerBatch).
 BATCH_ROWS = 1000
 
 
@@ -24,25 +24,6 @@ def small_batches(spark: SparkSession) -> None:
         spark.conf.set(key, str(BATCH_ROWS))
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a temporary one where it is unset (tests)."""
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if not folder:
-        sc = spark.sparkContext
-        folder = sc.getCheckpointDir()
-        if not folder:
-            folder = tempfile.mkdtemp(prefix="shared-")
-            sc.setCheckpointDir(folder)
-    return folder.rstrip("/")
-
-
-def settle(df: DataFrame, name: str = "table") -> DataFrame:
-    """Write df as Parquet into the shared folder and read it again: cuts lineage, and survives lost executors."""
-    path = f"{shared_folder(df.sparkSession)}/settled/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
 def literal_rows(spark: SparkSession, rows: Iterable[tuple], schema: str) -> DataFrame:
     """A few rows of numbers and plain words as a DataFrame, from one literal; schema as `name type, ...`."""
     text = "\n".join("\t".join(map(str, r)) for r in rows)

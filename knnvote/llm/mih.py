@@ -142,6 +142,8 @@ def nearest(points: DataFrame, queries: DataFrame, k: int = K) -> DataFrame:
         q, i, d = search_cell(col(a, "id"), col(a, "code"), col(b, "qid"), col(b, "qcode"), k) if len(a) and len(b) else (np.zeros(0, np.int64),) * 3
         return pa.table({"qid": pa.array(q, pa.int64()), "id": pa.array(i, pa.int64()), "distance": pa.array(d.astype(np.int32))})
 
-    found = left.groupBy("cell", "block").cogroup(right.groupBy("cell", "block")).applyInArrow(answer, "qid long, id long, distance int")
+    # a stated number of partitions stays: adaptive execution would join the cells of small tables into one task
+    apart = lambda df: df.repartition(2 * spread * blocks, "cell", "block").groupBy("cell", "block")
+    found = apart(left).cogroup(apart(right)).applyInArrow(answer, "qid long, id long, distance int")
     best = W.partitionBy("qid").orderBy("distance", "id")
     return found.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("qid", "rank", "id", "distance")

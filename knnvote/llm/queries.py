@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import langid, licenses, mih, mixing, sharding, simhash, tokenstore, toxicity, urltree, winnowing
-from .common import crc_mod, literal_rows, shared_folder, table
+from .common import crc_mod, literal_rows, table, work_folder
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -66,7 +66,7 @@ def op7_naive_bayes_ngram_toxicity(spark: SparkSession, sf_dir: str) -> DataFram
 
 
 def op8_content_addressed_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
-    path = f"{shared_folder(spark)}/tokens-{uuid.uuid4().hex}"
+    path = f"{work_folder(spark)}/tokens-{uuid.uuid4().hex}"
     tokenstore.write_store(table(spark, sf_dir, "documents"), path)
     return tokenstore.read_digests(spark, path).select("doc_id", "start", "n_tokens", "ids_crc32", "verified")
 

@@ -20,6 +20,7 @@ from .common import literal_rows, seeded_hash, settle
 SHARDS = 16
 VIRTUAL = 64  # virtual nodes a shard
 RING = 1 << 32  # places on the ring
+CELL_ROWS = 50_000  # rows of an arc that one task ranks
 
 
 def ring(shards: int = SHARDS, virtual: int = VIRTUAL) -> list[tuple[int, int]]:
@@ -80,25 +81,37 @@ def arc_of(at: Column, nodes: list[tuple[int, int]]) -> Column:
 def assign_rows(rows: DataFrame, doc_id: str = "doc_id", shards: int = SHARDS, virtual: int = VIRTUAL, tie: list[str] | None = None) -> DataFrame:
     """rows with shard and slot: shard row counts at most one apart, slots gapless from 0 in each.
 
-    Ranks inside an arc follow (hash, id, `tie` columns), so rows that are alike in these may swap slots. Null
-    ids have a place of their own. An empty table gives an empty result. Columns named shard, slot or
+    Ranks inside an arc follow the id and the `tie` columns, so rows that are alike in these may swap slots; an id that
+    holds very many rows is ranked in parts. Null ids have a place of their own. An empty table gives an empty result. Columns named shard, slot or
     beginning with _ring must not be in rows.
     """
     nodes = ring(shards, virtual)
+    ids = [doc_id, *(tie or [])]
     placed = rows.withColumn("_ring_at", place(doc_id)).withColumn("_ring_arc", arc_of(F.col("_ring_at"), nodes))
+    # rows of one arc are ranked in cells, by content; rows that are alike in all of `ids` may be told apart by their place in the table
+    placed = placed.withColumn("_ring_hash", F.xxhash64("_ring_at", *ids)).withColumn("_ring_row", F.xxhash64(F.monotonically_increasing_id()))
     placed = settle(placed, "placed")
-    counts = {r["_ring_arc"]: r["n"] for r in placed.groupBy("_ring_arc").agg(F.count("*").alias("n")).collect()}  # one row an arc
-    moves = overflow([counts.get(a, 0) for a in range(len(nodes))], [s for _, s in nodes], bounds(sum(counts.values()), shards))
+    total = placed.count()
+    arc = ["_ring_arc", "_ring_cell"]
+    placed = placed.withColumn("_ring_cell", F.pmod("_ring_hash", F.lit(max(1, total // (len(nodes) * CELL_ROWS)))))
+    full = placed.groupBy(*arc).agg(F.count("*").alias("n")).where(F.col("n") > 4 * CELL_ROWS).select(*arc, F.ceil(F.col("n") / CELL_ROWS).alias("_ring_parts"))
+    placed = placed.join(full, arc, "left").withColumn("_ring_part", F.coalesce(F.pmod("_ring_row", F.col("_ring_parts")), F.lit(0)))
+    arc += ["_ring_part"]
+    cells = settle(placed.groupBy(*arc).agg(F.count("*").alias("n")), "cells")
+    counts = {r["_ring_arc"]: r["n"] for r in cells.groupBy("_ring_arc").agg(F.sum("n").alias("n")).collect()}  # one row an arc
+    moves = overflow([counts.get(a, 0) for a in range(len(nodes))], [s for _, s in nodes], bounds(total, shards))
     # the moves of each arc as an array: a few thousand numbers in all, bounded by the ring
     spark = rows.sparkSession
     table = literal_rows(spark, moves, "_ring_arc int, lo long, hi long, shard int, slot long")
     table = table.groupBy("_ring_arc").agg(F.collect_list(F.struct("lo", "hi", "shard", "slot")).alias("_ring_moves"))
-    by = W.partitionBy("_ring_arc").orderBy("_ring_at", doc_id, *(tie or []))
-    ranked = placed.withColumn("_ring_rank", F.row_number().over(by) - 1).join(F.broadcast(table), "_ring_arc")
+    upto = W.partitionBy("_ring_arc").orderBy("_ring_cell", "_ring_part").rowsBetween(W.unboundedPreceding, -1)
+    before = cells.select(*arc, F.coalesce(F.sum("n").over(upto), F.lit(0)).alias("_ring_before"))
+    nth = F.row_number().over(W.partitionBy(*arc).orderBy("_ring_at", *ids))
+    ranked = placed.join(before, arc).withColumn("_ring_rank", F.col("_ring_before") + nth - 1).join(F.broadcast(table), "_ring_arc")
     mine = F.filter("_ring_moves", lambda m: (m["lo"] <= F.col("_ring_rank")) & (F.col("_ring_rank") < m["hi"]))[0]
     out = ranked.withColumn("_ring_move", mine).withColumn("shard", F.col("_ring_move.shard"))
     out = out.withColumn("slot", F.col("_ring_move.slot") + F.col("_ring_rank") - F.col("_ring_move.lo"))
-    return out.drop("_ring_at", "_ring_arc", "_ring_rank", "_ring_moves", "_ring_move")
+    return out.select(*rows.columns, "shard", "slot")
 
 
 def write_shards(docs: DataFrame, path: str, doc_id: str = "doc_id", shards: int = SHARDS) -> None:
