@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from knnvote.llm import mixing, simhash, tokenstore, toxicity, winnowing
-from knnvote.llm.common import literal_rows, shared_folder, table
+from knnvote.llm.common import literal_rows, table, work_folder
 from knnvote.llm.queries import MIX_WEIGHTS, domain_of
 
 
@@ -35,7 +35,7 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def write_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Writes the documents' token ids into a content-addressed store and reads it back."""
-    path = f"{shared_folder(spark)}/tokens-{uuid.uuid4().hex}"
+    path = f"{work_folder(spark)}/tokens-{uuid.uuid4().hex}"
     tokenstore.write_store(docs, path)
     return tokenstore.read_digests(spark, path)
 
@@ -55,7 +55,7 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over `documents`; each one's rows are written as Parquet and read again for the next."""
     docs = table(spark, sf_dir, "documents")
-    folder = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
+    folder = f"{work_folder(spark)}/pipeline-{uuid.uuid4().hex}"
     for k, (name, stage) in enumerate(STAGES):
         out = stage(spark, docs, sf_dir)
         if k + 1 == len(STAGES):
