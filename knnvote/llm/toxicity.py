@@ -65,17 +65,12 @@ class Model:
         return out
 
 
-def _present(text: bytes, mark: np.ndarray) -> np.ndarray:
-    """The buckets that a text's n-grams hit; mark is an all-false table, and is left so."""
-    flat, _ = _flatten([text])
-    for _, b in _buckets(flat):
-        mark[b] = True
-    found = np.flatnonzero(mark)
-    mark[found] = False
-    return found
+def _present(text: bytes, wanted: np.ndarray | None = None) -> np.ndarray:
+    """The buckets that a text's n-grams hit, each once; with `wanted`, of those that it marks."""
+    return np.unique(np.concatenate([b for _, b in _buckets(_flatten([text])[0], wanted)]))
 
 
-def fit(texts: list[bytes], labels: np.ndarray, least: int = 3, z: float = 2.5, l2: float = 1e-3, steps: int = 400) -> Model:
+def fit(texts: list[bytes], labels: np.ndarray, least: int = 3, z: float = 2.5, l2: float = 1e-3, steps: int = 100) -> Model:
     """Logistic regression on n-gram presence scaled by log-count ratios.
 
     n-grams that fewer than `least` texts hold, or whose ratio is within `z` standard errors of 0,
@@ -87,9 +82,8 @@ def fit(texts: list[bytes], labels: np.ndarray, least: int = 3, z: float = 2.5,
     if not n1 or not n0:
         return Model(weights, float(np.log((n1 + 1) / (n0 + 1))))
     counts = np.zeros((2, 2**BITS), np.int32)
-    mark = np.zeros(2**BITS, bool)
     for t, c in zip(texts, labels, strict=True):
-        counts[int(c), _present(t, mark)] += 1
+        counts[int(c), _present(t)] += 1
     p1, p0 = counts[1] + 0.5, counts[0] + 0.5
     ratio = np.log(p1 / (n1 + 1)) - np.log(p0 / (n0 + 1))
     error = np.sqrt(1 / p1 - 1 / (n1 + 1) + 1 / p0 - 1 / (n0 + 1))
@@ -97,20 +91,24 @@ def fit(texts: list[bytes], labels: np.ndarray, least: int = 3, z: float = 2.5,
     column = np.full(2**BITS, -1, np.int64)
     column[chosen] = np.arange(len(chosen))
     # a second look at the texts keeps the chosen n-grams alone in memory
-    cols = [c[c >= 0].astype(np.int32) for c in (column[_present(t, mark)] for t in texts)]
+    wanted = column >= 0
+    cols = [column[_present(t, wanted)].astype(np.int32) for t in texts]
     row = np.repeat(np.arange(len(cols), dtype=np.int32), [len(c) for c in cols])
     col = np.concatenate(cols) if cols else np.zeros(0, np.int32)
     r = ratio[chosen]
     balance = np.where(y == 1, 0.5 * len(y) / n1, 0.5 * len(y) / n0)
+    begin = np.searchsorted(row, np.arange(len(y)))
+    none = np.diff(np.append(begin, len(row))) == 0  # texts without any chosen n-gram
+    begin = np.minimum(begin, max(0, len(row) - 1))
     w, bias = np.zeros(len(chosen)), 0.0
     m, v, mb, vb = np.zeros_like(w), np.zeros_like(w), 0.0, 0.0
     for t in range(1, steps + 1):
-        s = np.bincount(row, weights=(r * w)[col], minlength=len(y)) + bias
+        s = np.where(none, 0.0, np.add.reduceat((r * w)[col], begin)) + bias if len(col) else np.full(len(y), bias)
         e = balance * (1 / (1 + np.exp(-np.clip(s, -30, 30))) - y) / len(y)
         g = np.bincount(col, weights=e[row], minlength=len(chosen)) * r + l2 * w
         gb = e.sum()
         m, v, mb, vb = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g * g, 0.9 * mb + 0.1 * gb, 0.99 * vb + 0.01 * gb * gb
-        rate = 0.02 * (0.1 + 0.9 * (1 - t / steps))
+        rate = 0.08 * (0.1 + 0.9 * (1 - t / steps))
         w -= rate * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.99**t)) + 1e-9)
         bias -= rate * (mb / (1 - 0.9**t)) / (np.sqrt(vb / (1 - 0.99**t)) + 1e-9)
     weights[chosen] = r * w
