@@ -93,6 +93,11 @@ class Forest:
         out = sizes.groupBy("tree").agg(F.max("count").alias("largest"), (F.sum("count") / 2**self.params.depth).alias("mean"))
         return out.withColumn("ratio", F.round(F.try_divide("largest", "mean"), 6))
 
+    def maintained(self, ratio: float = 2.0) -> Forest:
+        """This forest while no leaf of a tree exceeds `ratio` mean leaves; else one grown anew on all points."""
+        worst = self.imbalance().agg(F.max("ratio")).first()[0]
+        return self if worst is None or worst <= ratio else build_forest(self.points, self.params)
+
 
 def build_forest(points: DataFrame, params: ForestParams) -> Forest:
     """Grow all trees on points (id, vec). Vectors must have one length and no nulls."""
@@ -113,7 +118,7 @@ def build_forest(points: DataFrame, params: ForestParams) -> Forest:
     elif build == "auto":
         build = "tree_local" if n <= LOCAL_ROWS else "level_exact"
     if build == "sample":
-        share = min(1.0, SAMPLE_ROWS / max(1, n))
+        share = params.sample or min(1.0, SAMPLE_ROWS / max(1, n))
         proj = materialised(proj.where(uniform(params.seed, F.col("id"), "sample") < share), "sample")
         build = "tree_local"
     grown = _tree_local if build == "tree_local" else _level_by_level

@@ -135,6 +135,12 @@ def route_with_neighbours(queries: DataFrame, forest: Forest, extra: int) -> Dat
     return out.withColumn("nth", nth).where(F.col("nth") <= extra + 1).drop("nth")
 
 
+def priority_knn(queries: DataFrame, forest: Forest, k: int, votes: int, extra: int) -> DataFrame:
+    """neighbors (qid, rank, id, distance, votes) from the own leaf and the `extra` nearest ones of each tree."""
+    routes = route_with_neighbours(queries, forest, extra).select("qid", "tree", "leaf").distinct()
+    return rank_candidates(count_votes(routes, forest.postings()).where(F.col("votes") >= votes), forest.points, queries, k)
+
+
 def count_votes(routes: DataFrame, cells: DataFrame, part: str = "tree", cell: str = "leaf") -> DataFrame:
     """(qid, id, votes): in how many partitions a point shares a cell with the query.
 

@@ -21,6 +21,7 @@ class ForestParams:
     split: median, or fractile (a hashed fraction between 1/4 and 3/4 at each node).
     tie: threshold (values at or below the median go left) or rank (the first ceil(n/2) by value and id do).
     build: tree_local, level_exact, level_sketch, sample, or auto: exact medians, by tree or by level as the number of points has it.
+    sample: the share of the points that fit the splits of build "sample"; without it, as many as make SAMPLE_ROWS.
     """
 
     trees: int = 16
@@ -33,6 +34,7 @@ class ForestParams:
     split: str = "median"
     tie: str = "threshold"
     build: str = "auto"
+    sample: float | None = None
 
     def share(self, d: int) -> float:
         """The density for d dimensions, rounded to 9 decimals."""

@@ -53,7 +53,8 @@ def _step(p: ForestParams, j: int) -> str:
 
 
 def forest(p: ForestParams, d: int = 64) -> list[str]:
-    start = f"n0 AS (SELECT id, range::INTEGER AS tree, 0 AS node FROM pts, range({p.trees}))"
+    some = f" WHERE {u(str(p.seed), 'id', repr('sample'))} < {p.sample}::DOUBLE" if p.sample else ""
+    start = f"n0 AS (SELECT id, range::INTEGER AS tree, 0 AS node FROM pts, range({p.trees}){some})"
     return [held_out(), directions(p, d), projections(p), start, *(_step(p, j) for j in range(p.depth))]
 
 
@@ -127,3 +128,12 @@ def _histogram(rows: str, d: int, digits: int = 4) -> str:
 USER_PROFILES = _histogram("SELECT user_id AS k, (dense_rank() OVER (ORDER BY event_type) - 1) * 24 + hour(ts) AS b, 1.0::DOUBLE AS v FROM events", 120)
 PART_DEMAND = _histogram("SELECT l_partkey AS k, date_diff('day', DATE '1995-01-01', l_shipdate::DATE) // 20 AS b, l_quantity AS v FROM lineitem WHERE date_diff('day', DATE '1995-01-01', l_shipdate::DATE) BETWEEN 0 AND 2559", 128)
 CUSTOMER_BRAND = _histogram("SELECT o_custkey AS k, b, l_extendedprice * (1 - l_discount) AS v FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON c_custkey = o_custkey JOIN (SELECT p_partkey, dense_rank() OVER (ORDER BY p_brand) - 1 AS b FROM part) ON p_partkey = l_partkey", 25)
+
+
+def _hashed_counts(rows: str, d: int, digits: int = 4) -> str:
+    """Counts of tokens g of keys k in d buckets, at length 1."""
+    return f"WITH r AS ({rows}), s AS (SELECT k, (('0x' || substr(md5(g), 1, 8))::BIGINT % {d})::INTEGER AS b, count(*)::DOUBLE AS v FROM r GROUP BY ALL), m AS (SELECT k, map_from_entries(list((b, v))) AS m, 1.0::DOUBLE / sqrt(sum(v * v)) AS f FROM s GROUP BY k) SELECT k AS id, [round(coalesce(m[i], 0.0) * f, {digits})::DOUBLE FOR i IN range({d})] AS vec FROM m"
+
+
+DOC_BIGRAMS = _hashed_counts("SELECT k, g FROM (SELECT k, substr(t, p, 2) AS g FROM (SELECT doc_id AS k, lower(text) AS t, unnest(range(1, length(text) + 1)) AS p FROM documents)) WHERE regexp_full_match(g, '[a-z]{2}')", 784)
+PAGE_FEATURES = _hashed_counts("SELECT page_id AS k, unnest(regexp_extract_all(lower(regexp_replace(html, '<[^>]*>', ' ', 'g')), '[a-z]+')) AS g FROM pages", 960)

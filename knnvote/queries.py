@@ -80,7 +80,9 @@ def _splits(spark, sf_dir, p):
     return setting(spark, sf_dir, p)[2].split_table()
 
 
-for _name, _b in {"splits_level": "level_exact", "splits_tree_local": "tree_local", "splits_sampled": "sample"}.items():
+_S = P.but(build="sample", sample=0.5)
+query(sql.with_ctes(*sql.forest(_S), sql.all_splits(_S) + " SELECT tree, level, node, threshold FROM splits"), "splits_sampled")(lambda spark, sf_dir: _splits(spark, sf_dir, _S))
+for _name, _b in {"splits_level": "level_exact", "splits_tree_local": "tree_local"}.items():
     query(_SPLITS, _name)(lambda spark, sf_dir, b=_b: _splits(spark, sf_dir, P.but(build=b)))
 query(None, "splits_sketch")(lambda spark, sf_dir: _splits(spark, sf_dir, P.but(build="level_sketch")))
 
@@ -194,6 +196,12 @@ def priority_leaves(spark, sf_dir):
     return se.route_with_neighbours(queries, forest, 2)
 
 
+@query()
+def priority_knn(spark, sf_dir):
+    _, queries, forest = setting(spark, sf_dir)
+    return se.priority_knn(queries, forest, K, VOTES, 2).select("qid", "rank", "id", "distance")
+
+
 for _k in (1, 10, 25, 100):
     query(sql.with_ctes(*sql.brute(_k), "SELECT qid, rank, id, distance FROM truth"), f"brute_force_knn_{_k}")(lambda spark, sf_dir, k=_k: se.brute_force_knn(*ta.hold_out(ta.embeddings(spark, sf_dir)), k, engine="arrow"))
 query(SQL["brute_force_knn_10"], "brute_force_knn_native")(lambda spark, sf_dir: se.brute_force_knn(*ta.hold_out(ta.embeddings(spark, sf_dir)), 10))
@@ -305,14 +313,14 @@ def time_to_recall_published(spark, sf_dir):
     return me.time_to_recall(published.times(spark).withColumnRenamed("level", "recall"))
 
 
-@query()
+@query(published.sql("SELECT dataset, level, " + ", ".join(f"max(seconds) FILTER (method = '{m}') AS {m}" for m in published.METHODS) + " FROM t GROUP BY dataset, level"))
 def pivot_times(spark, sf_dir):
     return published.times(spark).groupBy("dataset", "level").pivot("method", list(published.METHODS)).agg(F.first("seconds"))
 
 
 # ---- workloads -----------------------------------------------------------------------------------
 
-for _name, _f, _t in (("user_profiles", ta.user_profiles, sql.USER_PROFILES), ("part_demand", ta.part_demand, sql.PART_DEMAND), ("customer_brand", ta.customer_brand, sql.CUSTOMER_BRAND), ("doc_bigrams", ta.letter_bigrams, None), ("page_features", ta.page_features, None)):
+for _name, _f, _t in (("user_profiles", ta.user_profiles, sql.USER_PROFILES), ("part_demand", ta.part_demand, sql.PART_DEMAND), ("customer_brand", ta.customer_brand, sql.CUSTOMER_BRAND), ("doc_bigrams", ta.letter_bigrams, sql.DOC_BIGRAMS), ("page_features", ta.page_features, sql.PAGE_FEATURES)):
     query(_t, _name)(lambda spark, sf_dir, f=_f: f(spark, sf_dir).select("id", F.transform("vec", lambda x: F.round(x, 4)).alias("vec")))
 
 _W = P.but(trees=16, depth=3)
@@ -376,6 +384,18 @@ def kmeans_tree_knn(spark, sf_dir):
     return _neighbours(ba.kmeans_tree(points, 4, 2).search(queries, K, 6))
 
 
+@query()
+def kmeans_voting_knn(spark, sf_dir):
+    points, queries = _held(spark, sf_dir)
+    return _neighbours(ba.kmeans_votes(points, queries, K))
+
+
+@query()
+def cross_polytope_voting_knn(spark, sf_dir):
+    points, queries = _held(spark, sf_dir)
+    return _neighbours(ba.cross_polytope(points, 10).search(queries, K, 100, votes=2))
+
+
 @query()
 def cross_polytope_knn(spark, sf_dir):
     points, queries = _held(spark, sf_dir)

@@ -104,8 +104,8 @@ def histogram(rows: DataFrame, key: str, bucket: str, value: str, d: int) -> Dat
     """(id, vec): the sum of value in each of d buckets of a key; buckets without rows are 0."""
     sums = rows.groupBy(key, bucket).agg(F.sum(value).alias("v"))
     if d > WIDE:
-        held = sums.groupBy(F.col(key).alias("id")).agg(F.collect_list(F.struct(F.col(bucket).cast("int").alias("b"), F.col("v").cast("float").alias("v"))).alias("m"))
-        return held.select("id", F.col("m.b").alias("b"), F.col("m.v").alias("v")).mapInArrow(_spread(d), "id long, vec array<float>")
+        held = sums.groupBy(F.col(key).alias("id")).agg(F.collect_list(F.struct(F.col(bucket).cast("int").alias("b"), F.col("v").cast("double").alias("v"))).alias("m"))
+        return held.select("id", F.col("m.b").alias("b"), F.col("m.v").alias("v")).mapInArrow(_spread(d), "id long, vec array<double>")
     held = sums.groupBy(F.col(key).alias("id")).agg(F.map_from_entries(F.collect_list(F.struct(bucket, "v"))).alias("m"))
     # built-in expressions alone: the map is read once for each of the d places
     return held.select("id", F.transform(F.sequence(F.lit(0), F.lit(d - 1)), lambda i: F.coalesce(F.try_element_at("m", i.cast("int")), F.lit(0.0)).cast("double")).alias("vec"))
@@ -116,14 +116,14 @@ def _spread(d: int):
     import numpy as np
     import pyarrow as pa
 
-    rows = max(1, (1 << 22) // d)  # 16 MB of floats a batch
+    rows = max(1, (1 << 21) // d)  # 16 MB of doubles a batch
 
     def run(batches):
         for whole in batches:
             for at in range(0, whole.num_rows, rows):
                 b = whole.slice(at, rows)
                 lengths = np.diff(b.column(1).offsets.to_numpy())
-                x = np.zeros((b.num_rows, d), np.float32)
+                x = np.zeros((b.num_rows, d))
                 x[np.repeat(np.arange(b.num_rows), lengths), b.column(1).flatten().to_numpy()] = b.column(2).flatten().to_numpy()
                 vec = pa.ListArray.from_arrays(pa.array(np.arange(0, x.size + 1, d, dtype=np.int32)), pa.array(x.ravel()))
                 yield pa.record_batch([b.column(0).cast(pa.int64()), vec], names=["id", "vec"])

@@ -94,6 +94,10 @@ def test_comparison_methods(setting):
     truth = answers(se.brute_force_knn(points, queries, 5))
     tree = ba.axis_forest(points, depth=3)
     assert answers(tree.search_bounded(queries, 5, 0.0)) == truth
+    exact, loose = (tree.bounded_visits(queries, 5, eps).count() for eps in (0.0, 3.0))
+    assert 20 <= loose < exact <= 160
+    voted = ba.kmeans_votes(points, queries, 5, trees=3, votes=1, max_leaves=16)
+    assert answers(voted) == truth
     assert answers(ba.axis_forest(points, 3, 3, 5).search(queries, 5, 100)) == truth
     means = ba.kmeans_tree(points, 3, 2)
     assert answers(means.search(queries, 5, 9)) == truth and means.sse[1] <= means.sse[0]
@@ -159,3 +163,29 @@ def test_multi_probe_ranks_every_bucket(setting, functions):
             total = loss[0] if functions == 1 else (loss[0][:, None] + loss[1]).ravel()
             want += [(x, t, b) for b, x in enumerate(total)]
         assert len(seen[q.qid]) == 60 == len(set(seen[q.qid])) and set(seen[q.qid]) == {(t, b) for _, t, b in sorted(want)[:60]}
+
+
+def test_a_sample_fits_other_splits_than_all_points(setting, forest):
+    part = fo.build_forest(setting[0], P.but(build="sample", sample=0.5))
+    assert not np.array_equal(part.splits, forest.splits) and part.codes.count() == 280
+
+
+def test_uneven_forests_are_grown_anew(spark, setting, forest):
+    assert forest.maintained() is forest
+    one = setting[0].orderBy("id").limit(1).select(F.explode(F.sequence(F.lit(10_000), F.lit(10_300))).alias("id"), "vec")
+    worse = forest.insert(one)
+    assert worse.maintained(1e9) is worse and worse.maintained() is not worse
+
+
+def test_further_leaves_add_answers(setting, forest):
+    truth = se.brute_force_knn(*setting, 5)
+    few, more = (me.mean_recall(me.recall(se.priority_knn(setting[1], forest, 5, 1, extra), truth, setting[1], 5)).first()[0] for extra in (0, 2))
+    assert few < more
+
+
+def test_axes_are_those_of_numpy(setting):
+    x = np.array([r.vec for r in setting[0].collect()])
+    tree = ba.axis_forest(setting[0], depth=1)
+    assert tree.axes[0, 0] == np.argmax(np.round(x.max(0) - x.min(0), 9)) and abs(tree.cuts[0, 0] - np.median(x[:, tree.axes[0, 0]])) < 1e-9
+    drawn = ba.axis_forest(setting[0], 6, 1, top_dims=3).axes[:, 0]
+    assert set(drawn) <= set(np.argsort(-x.var(0))[:3]) and len(set(drawn)) > 1
