@@ -18,7 +18,7 @@ BLOCK_QUERIES = 2_000  # queries that one pass over the points answers
 
 # ---- exact ---------------------------------------------------------------------------------
 
-def ranked(pairs: DataFrame, k: int) -> DataFrame:
+def ranked(pairs: DataFrame, k: int | Column) -> DataFrame:
     """(qid, rank, id, distance, ..) of the k nearest of each query, ties by the smaller id."""
     nth = F.row_number().over(W.partitionBy("qid").orderBy("distance", "id"))
     return pairs.withColumn("rank", nth).where(F.col("rank") <= k)

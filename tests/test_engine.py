@@ -158,7 +158,7 @@ def test_multi_probe_ranks_every_bucket(setting, functions):
     for q in queries.collect():
         want = []
         for t in range(2):
-            y = hashed.rotations[t] @ np.array(q.qvec)
+            y = ba._rotated(hashed.signs, np.array([q.qvec]))[0, t]
             loss = np.concatenate([y, -y], 1).max(1, keepdims=True) - np.concatenate([y, -y], 1)
             total = loss[0] if functions == 1 else (loss[0][:, None] + loss[1]).ravel()
             want += [(x, t, b) for b, x in enumerate(total)]
@@ -189,3 +189,13 @@ def test_axes_are_those_of_numpy(setting):
     assert tree.axes[0, 0] == np.argmax(np.round(x.max(0) - x.min(0), 9)) and abs(tree.cuts[0, 0] - np.median(x[:, tree.axes[0, 0]])) < 1e-9
     drawn = ba.axis_forest(setting[0], 6, 1, top_dims=3).axes[:, 0]
     assert set(drawn) <= set(np.argsort(-x.var(0))[:3]) and len(set(drawn)) > 1
+
+
+def test_rotations_keep_lengths_and_beams_of_several_widths_agree(setting):
+    points, queries = setting
+    x = np.random.default_rng(1).standard_normal((5, 12))
+    y = ba._rotated(np.random.default_rng(2).choice([-1.0, 1.0], (2, 3, 3, 16)), x)
+    assert y.shape == (5, 2, 3, 16) and np.allclose((y**2).sum(3), (x**2).sum(1)[:, None, None])
+    graph = ba.knn_graph(points, 6, rounds=3)
+    found, evals = graph.search_all(queries, 5, [10, 40])
+    assert answers(found.where("search_cost = 10").drop("search_cost")) == answers(graph.search(queries, 5, 10)) and 0 < evals[10] <= evals[40]
