@@ -21,6 +21,7 @@ from functools import cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
@@ -242,13 +243,20 @@ def _once(batches):
     """Drops chunks that came before; all copies of a chunk have one key, and rows come in the order of keys."""
     last, seen = None, set()
     for b in batches:
-        keep = []
-        for key, h in zip(b.column(b.schema.get_field_index("key")).to_pylist(), b.column(b.schema.get_field_index("hash")).to_pylist(), strict=True):
-            if key != last:
-                last, seen = key, set()
-            keep.append(h is None or h not in seen)
-            seen.add(h)
-        yield b.filter(pa.array(keep))
+        key, h = b.column(b.schema.get_field_index("key")).to_numpy(), b.column(b.schema.get_field_index("hash"))
+        alike = key[1:] == key[:-1]
+        again = pc.fill_null(pc.equal(h.slice(1), h.slice(0, max(0, len(h) - 1))), False).to_numpy(zero_copy_only=False)
+        if (alike & ~again).any() or not len(key) or key[0] == last:  # two hashes of one key, or a key that goes on
+            keep = []
+            for k, x in zip(key.tolist(), h.to_pylist(), strict=True):
+                if k != last:
+                    last, seen = k, set()
+                keep.append(x is None or x not in seen)
+                seen.add(x)
+        else:
+            keep = np.concatenate([[True], ~alike])
+            last, seen = key[-1], {h[-1].as_py()}
+        yield b.filter(pa.array(keep, pa.bool_()))
 
 
 def _roots(batches):

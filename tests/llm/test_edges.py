@@ -7,11 +7,12 @@ import unicodedata
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from knnvote.llm import langid, licenses, mih, mixing, sharding, toxicity, winnowing
+from knnvote.llm import langid, licenses, mih, mixing, sharding, tokenstore, toxicity, winnowing
 
 CLASH = ("_id", "_k", "_nth", "shard", "key", "slot", "domain", "copies", "part", "_row", "component_id", "score")
 ODD = [None, "", " \n", "a", "word " * 30_000, "twice the same text, with more than five words", "twice the same text, with more than five words", "Ünïcode ß 漢字 text", "12 %% !!"]
@@ -223,3 +224,11 @@ def test_contaminated_texts_go_whatever_the_blocks(spark, monkeypatch):
     whole = plain(winnowing.without_contaminated(docs, bench).collect())
     monkeypatch.setattr(winnowing, "ITEM_BYTES", 200)
     assert plain(winnowing.without_contaminated(docs, bench).collect()) == whole and len(whole) == len(ODD) + 3
+
+
+def test_chunks_go_out_once_whatever_the_batches():
+    rows = [(1, b"a"), (1, b"a"), (2, None), (3, b"x"), (3, b"y"), (3, b"x"), (3, b"y"), (4, b"z"), (4, b"z"), (5, None), (6, b"q")]
+    for size in (1, 2, 3, 4, 11):
+        batches = [pa.record_batch([pa.array([k for k, _ in rows[i : i + size]]), pa.array([h for _, h in rows[i : i + size]], pa.binary())], names=["key", "hash"]) for i in range(0, len(rows), size)]
+        got = [x for b in tokenstore._once(iter(batches)) for x in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True)]
+        assert got == [(1, b"a"), (2, None), (3, b"x"), (3, b"y"), (4, b"z"), (5, None), (6, b"q")]
