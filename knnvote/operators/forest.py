@@ -165,12 +165,29 @@ def _level_by_level(proj: DataFrame, p: ForestParams, build: str) -> np.ndarray:
         elif build == "level_fractile":
             cut = _fractile(long, p, j)
         else:
-            cut = long.groupBy("tree", "node").agg(F.percentile("v", 0.5).alias("cut"))
+            cut = medians(long, "tree", "node")
         for r in cut.collect():
             splits[r["tree"], 2**j - 1 + r["node"]] = r["cut"]
     return splits
 
 
+def medians(rows: DataFrame, *keys: str) -> DataFrame:
+    """(keys, cut): the exact median of `v` in every group, without a group's values in one task.
+
+    A sketch brackets the median between the ranks of 49 and 51 %, with an error of 0.1 %; only the distinct values of the
+    bracket are counted and ranked. All values below it are one count. Groups are nodes, whose number the parameters bound.
+    """
+    about = rows.groupBy(*keys).agg(F.percentile_approx("v", [0.49, 0.51], 1000).alias("around"), F.count("v").alias("m"))
+    near = rows.join(F.broadcast(about), list(keys)).where(F.col("v") <= F.get("around", F.lit(1)))
+    value = F.when(F.col("v") >= F.get("around", F.lit(0)), F.col("v")).alias("v")
+    counts = near.groupBy(*keys, "m", value).agg(F.count("*").alias("n"))
+    upto = counts.withColumn("upto", F.sum("n").over(W.partitionBy(*keys).orderBy(F.asc_nulls_first("v"))))
+    at = lambda rank: F.min(F.when(F.col("upto") >= F.expr(rank), F.col("v")))
+    missed = F.max(F.col("v").isNull() & (F.col("upto") >= F.expr("(m + 1) div 2")))
+    cut = F.when(missed, F.raise_error(F.lit("the sketch missed a median"))).otherwise((at("(m + 1) div 2") + at("m div 2 + 1")) / 2)
+    return upto.groupBy(*keys).agg(cut.cast("double").alias("cut"))
+
+
 def _node_codes(proj: str, splits: Column, p: ForestParams, level: int) -> Column:
     """The node of a level in every tree, from the first `level` projections."""
     return F.transform(F.sequence(F.lit(0), F.lit(p.trees - 1)), lambda t: descend(F.col(proj), splits, t, p.depth, level))
@@ -192,7 +209,7 @@ def _grow_ranked(forest: Forest, proj: DataFrame) -> Forest:
         by = W.partitionBy("tree", "node")
         long = long.withColumn("nth", F.row_number().over(by.orderBy(F.get("x", F.lit(j)), "id"))).withColumn("m", F.count("*").over(by))
         long = materialised(long, "ranked")
-        cut = long.groupBy("tree", "node").agg(F.percentile(F.get("x", F.lit(j)), 0.5).alias("cut"))
+        cut = medians(long.select("tree", "node", F.get("x", F.lit(j)).alias("v")), "tree", "node")
         for r in cut.collect():
             forest.splits[r["tree"], 2**j - 1 + r["node"]] = r["cut"]
         long = long.withColumn("node", F.col("node") * 2 + (F.col("nth") > F.ceil(F.col("m") / 2)).cast("int")).drop("nth", "m")
@@ -238,7 +255,7 @@ def _grow_by_node(forest: Forest) -> Forest:
     rows = _by_tree(forest.points, p)
     for j in range(p.depth):
         rows = materialised(_node_step(rows, forest, j), "stepped")
-        cut = _fractile(rows, p, j) if p.split == "fractile" else rows.groupBy("tree", "node").agg(F.percentile("v", 0.5).alias("cut"))
+        cut = _fractile(rows, p, j) if p.split == "fractile" else medians(rows, "tree", "node")
         for r in cut.collect():
             forest.splits[r["tree"], 2**j - 1 + r["node"]] = r["cut"]
         rows = _descended(rows, forest, j)
