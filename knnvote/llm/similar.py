@@ -24,6 +24,7 @@ BLOCK_ROWS = 4_000  # sketches of a band in one block
 CELL_ROWS = 2_000  # texts on a side of a cell, at most
 CELL_SHINGLES = 1_500_000  # and their shingles together, but for a single text of more
 SLACK = 0.15  # a pair whose estimated similarity is this much too low isn't compared: four standard errors at 0.8
+NEEDED_ROWS = 1 << 21  # texts named by broadcast, two numbers each, some 128 MB; beyond that all texts are dealt by id
 HOT = 1_000  # a band that holds more than this fraction of all band rows is joined by broadcast; there are at most so many
 _RNG = np.random.default_rng(20)
 _MUL = _RNG.integers(1, 2**32, (2, BANDS * ROWS), dtype=np.uint32) | np.uint32(1)
@@ -228,7 +229,9 @@ def _partners(share: float):
 
 def _texts(cells: DataFrame, docs: DataFrame, doc_id: str, text: str) -> DataFrame:
     """(node, t): the texts that stand in cells, each once; a node is the text's XXH64, doc the least id that has it."""
-    needed = cells.select("node", F.col("doc").alias("own_id")).distinct()
+    needed = settle(cells.select("node", F.col("doc").alias("own_id")).distinct(), "needed")
+    if needed.count() <= NEEDED_ROWS:
+        needed = F.broadcast(needed)  # so that no other text is shuffled
     held = docs.select(F.col(doc_id).cast("long").alias("own_id"), text_id(text).alias("node"), F.col(text).cast("binary").alias("t"))
     return held.join(needed, ["own_id", "node"], "left_semi").groupBy("node").agg(F.first("t").alias("t"))
 
