@@ -19,6 +19,7 @@ RADIUS = 2  # differing bits
 SHARD_ROWS = 20_000  # fingerprints a shard should hold
 MAX_DEPTH = 16  # of the routing tree
 SAMPLE_PER_SHARD = 64  # fingerprints that fit each leaf of the routing tree; at most 2**22 in all
+LOST_ROWS = 1 << 22  # ids of copies sent by broadcast, some 128 MB; beyond that the documents are dealt by id
 LEAF = 1024  # residents below which a shard compares in blocks
 
 
@@ -247,9 +248,12 @@ def _with_similar(links: DataFrame, fps: DataFrame, groups: DataFrame, docs: Dat
 
     Pairs with the heads of bands join large groups first; then all pairs of a band that still lie apart are tried.
     """
-    kept = [F.min_by(c, "doc_id").alias(c) for c in ("fp", "keys", "least", "n")]
-    named = fps.where("doc_id is not null and size(keys) > 0").groupBy("tid").agg(*kept, F.min("doc_id").alias("doc"))
-    sketches = settle(named.join(groups, "fp").select(F.col("tid").alias("node"), F.col("node").alias("member"), "keys", "least", "n", "doc"), "sketches")
+    worded = fps.where("doc_id is not null and size(keys) > 0")
+    named = worded.groupBy("tid").agg(F.min_by("fp", "doc_id").alias("fp"), F.min("doc_id").alias("doc"))
+    named = named.join(groups, "fp").select("tid", F.col("node").alias("member"), "doc")
+    own = worded.select("tid", "doc_id", "keys", "least", "n").join(named, "tid").where("doc_id = doc")  # sketches are dealt once, by text
+    held = [F.first(c).alias(c) for c in ("member", "keys", "least", "n")]
+    sketches = settle(own.groupBy(F.col("tid").alias("node"), F.col("doc_id").alias("doc")).agg(*held), "sketches")
     shared = similar.shared_bands(sketches)
     docs = docs.where(F.col(text).isNotNull())
     named_by = lambda pairs, kind, of: pairs.join(of.select(F.col("node").alias("a"), F.col(kind).alias("u")), "a").join(of.select(F.col("node").alias("b"), F.col(kind).alias("v")), "b").select(F.col("u").alias("a"), F.col("v").alias("b"))
@@ -268,9 +272,14 @@ def one_of_each(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS, s
     Repeated rows of one id count as copies: the one with the least text stays.
     """
     found = settle(near_duplicates(docs, shingle=shingle, radius=radius, similarity=similarity), "members")
-    keep = found.where("doc_id = component_id").select("doc_id").distinct()
-    repeated = found.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count() > 0
-    kept = docs.join(keep, "doc_id", "left_semi")
+    ids = found.where("doc_id is not null").groupBy("doc_id").agg(F.bool_or(F.col("doc_id") == F.col("component_id")).alias("stays"), F.count("*").alias("n"))
+    ids = settle(ids, "ids")
+    repeated = ids.where("n > 1").limit(1).count() > 0
+    lost = ids.where("not stays").select("doc_id")
+    if lost.count() <= LOST_ROWS:
+        kept = docs.where("doc_id is not null").join(F.broadcast(lost), "doc_id", "left_anti")
+    else:
+        kept = docs.join(ids.where("stays").select("doc_id"), "doc_id", "left_semi")
     if repeated:
         columns = ["text", *sorted(set(docs.columns) - {"text", "doc_id"})]
         rows = kept.select(F.col("doc_id").alias("_own"), F.struct(*[F.col(f"`{c}`") for c in columns]).alias("_row"))
