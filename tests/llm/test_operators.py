@@ -69,6 +69,18 @@ def test_similar_texts_link(spark):
     assert simhash.one_of_each(docs(spark, []), shingle=5, similarity=0.8).count() == 0
 
 
+def test_copies_go_alike_by_broadcast_and_by_shuffle(spark, monkeypatch):
+    words = [f"w{i}" for i in range(200)]
+    texts = [*ODD, " ".join(words), " ".join([*words[:-1], "other"]), " ".join(reversed(words))]
+    rows = docs(spark, texts).union(docs(spark, texts[:3]))
+    of = lambda: sorted((r.doc_id, r.text or "") for r in simhash.one_of_each(rows, shingle=5, similarity=0.8).collect())
+    near = of()
+    monkeypatch.setattr(simhash, "LOST_ROWS", -1)
+    monkeypatch.setattr(similar, "NEEDED_ROWS", -1)
+    assert of() == near
+    assert {i for i, _ in near} & {len(ODD), len(ODD) + 1, len(ODD) + 2} == {len(ODD), len(ODD) + 2}
+
+
 def test_similar_texts_link_in_a_large_family(spark, monkeypatch):
     monkeypatch.setattr(similar, "BLOCK_ROWS", 40, raising=False)
     rng = np.random.default_rng(4)
