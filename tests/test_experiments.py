@@ -80,3 +80,10 @@ def test_kmeans_tree_of_double_vectors(spark):
     points = spark.createDataFrame([(i, [float(i % 4), float(i)]) for i in range(40)], "id long, vec array<double>")
     queries = points.where("id < 3").select(F.col("id").alias("qid"), F.col("vec").alias("qvec"))
     assert {(r.qid, r.id) for r in ba.kmeans_tree(points, 2, 2).search(queries, 1, 4).collect()} == {(0, 0), (1, 1), (2, 2)}
+
+
+def test_frontier_keeps_the_least_setting_of_equal_runs(spark):
+    rows = [(8, 3, 2, 0.5, 10), (4, 4, 2, 0.5, 10), (4, 3, 8, 0.5, 10), (4, 3, 2, 0.5, 10), (4, 2, 1, 0.9, 30), (16, 2, 1, 0.9, 30), (8, 2, 1, 0.4, 20)]
+    for order in (rows, rows[::-1], rows[2:] + rows[:2]):
+        runs = spark.createDataFrame(order, "trees int, depth int, votes int, recall double, candidates long").coalesce(1)
+        assert sorted(map(tuple, me.frontier(runs, "candidates").collect())) == [(4, 2, 1, 0.9, 30), (4, 3, 2, 0.5, 10)]
