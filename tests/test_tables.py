@@ -67,3 +67,32 @@ def test_join_makes_no_rows_of_pairs(spark, monkeypatch):
             want |= {(i, n): (j, d, shared[i, j]) for n, (d, j) in enumerate(others, 1)}
         assert {(r.qid, r.rank): (r.id, r.distance, r.votes) for r in se.knn_join(forest, 5, votes).collect()} == want
         assert not want or kept[-1].count() < 200 * 100
+
+
+def test_wide_rows_lie_in_small_groups(spark):
+    import glob
+
+    import pyarrow.parquet as pq
+    from pyspark.sql import functions as F
+
+    wide = spark.range(0, 900, 1, 1).select("id", F.array_repeat(F.col("id").cast("double"), 9216).alias("vec"))
+    path = fo.materialised(wide, "wide", 9216).inputFiles()[0].removeprefix("file:")
+    meta = pq.ParquetFile(glob.glob(path)[0]).metadata
+    assert meta.num_rows == 900 and max(meta.row_group(i).num_rows for i in range(meta.num_row_groups)) <= 227
+
+
+def test_a_task_keeps_k_of_its_points(spark, monkeypatch):
+    kept = []
+    monkeypatch.setattr(se, "ranked", lambda pairs, k, ranked=se.ranked: kept.append(pairs) or ranked(pairs, k))
+    old = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 20)
+    try:
+        x = np.random.default_rng(4).standard_normal((300, 5)).round(1)
+        points = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, vec array<double>").coalesce(1)
+        queries = points.where("id < 10").selectExpr("id AS qid", "vec AS qvec")
+        got = {(r.qid, r.rank): r.id for r in se.brute_force_knn(points, queries, 4, "arrow").collect()}
+        far = np.round(np.sqrt(((x[:10, None] - x[None]) ** 2).sum(2)), 6)
+        assert got == {(i, n): int(j) for i in range(10) for n, j in enumerate(np.lexsort((np.arange(300), far[i]))[:4], 1)}
+        assert kept[0].count() == 40
+    finally:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", old)
