@@ -96,3 +96,19 @@ def test_a_task_keeps_k_of_its_points(spark, monkeypatch):
         assert kept[0].count() == 40
     finally:
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", old)
+
+
+def test_bounded_search_makes_no_rows_of_candidates(spark, monkeypatch):
+    from knnvote.operators import baselines as ba
+
+    def never(*_):
+        raise AssertionError("candidates became rows")
+
+    x = np.random.default_rng(6).standard_normal((120, 5)).round(1)
+    points = fo.materialised(spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, vec array<double>"), "points")
+    queries = points.where("id < 6").selectExpr("id AS qid", "vec AS qvec")
+    tree = ba.axis_forest(points, depth=2)
+    monkeypatch.setattr(ba, "rank_candidates", never)
+    far = np.round(np.sqrt(((x[:6, None] - x[None]) ** 2).sum(2)), 6)
+    want = {(i, n, int(j)) for i in range(6) for n, j in enumerate(np.lexsort((np.arange(120), far[i]))[:3], 1)}
+    assert {(r.qid, r.rank, r.id) for r in tree.search_bounded(queries, 3).collect()} == want
