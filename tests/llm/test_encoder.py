@@ -39,3 +39,16 @@ def test_the_encoder_is_given_up_after_the_texts():
     tokenstore._encoder(tokenstore.VOCABULARY)
     assert not list(tokenstore._once(iter([])))
     assert tokenstore._encoder.cache_info().currsize == 0
+
+
+def test_a_worker_gives_free_memory_back(monkeypatch):
+    class Pool:
+        calls = 0
+
+        def release_unused(self):
+            self.calls += 1
+
+    pool = Pool()
+    monkeypatch.setattr(tokenstore.pa, "default_memory_pool", lambda: pool)
+    assert not list(tokenstore._once(iter([])))
+    assert pool.calls == 1
