@@ -48,10 +48,11 @@ def _shared_out(nodes: DataFrame, parent: list[str], name: str) -> DataFrame:
 
 
 def leaf_budgets(leaves: DataFrame, budget: int, epochs: int, weights: DataFrame | None = None) -> DataFrame:
-    """(domain, lang, source, tokens, got) from (domain, lang, source, tokens).
+    """(domain, lang, source, tokens, got, open) from (domain, lang, source, tokens).
 
     weights: (level int, name string, weight long): the weight of nodes of that name on that level
     (0 domain, 1 language, 2 source), whole numbers; others weigh 1, and nodes of weight 0 get nothing.
+    open: no node from the root to the leaf has weight 0.
     """
     for k, level in enumerate(LEVELS):
         if weights is None:
@@ -59,7 +60,7 @@ def leaf_budgets(leaves: DataFrame, budget: int, epochs: int, weights: DataFrame
         else:
             mine = weights.where(F.col("level") == k).groupBy(F.col("name").alias(level)).agg(F.max("weight").cast("long").alias(f"w_{level}"))
             leaves = leaves.join(mine, level, "left").withColumn(f"w_{level}", F.coalesce(f"w_{level}", F.lit(1)))
-    leaves = leaves.withColumn("cap", F.col("tokens") * epochs)
+    leaves = leaves.withColumn("cap", F.col("tokens") * epochs).withColumn("open", F.least(*[F.col(f"w_{x}") for x in LEVELS]) > 0)
     top, middle, leaf = LEVELS
     # a node gives what those below it can give: nothing flows into weights of 0
     leaves = leaves.withColumn("cap", F.when(F.col(f"w_{leaf}") > 0, F.col("cap")).otherwise(0))
@@ -67,7 +68,7 @@ def leaf_budgets(leaves: DataFrame, budget: int, epochs: int, weights: DataFrame
     tops = mids.groupBy(top, f"w_{top}").agg(F.sum("cap").alias("cap"))
     tops = _shared_out(tops.withColumn("weight", F.col(f"w_{top}")).withColumn("budget", F.lit(budget).cast("long")).withColumn("root", F.lit(0)), ["root"], top).select(top, F.col("got").alias("budget"))
     mids = _shared_out(mids.withColumn("weight", F.col(f"w_{middle}")).join(tops, top), [top], middle).select(top, middle, F.col("got").alias("budget"))
-    return _shared_out(leaves.withColumn("weight", F.col(f"w_{leaf}")).join(mids, [top, middle]), [top, middle], leaf).select(*LEVELS, "tokens", "got")
+    return _shared_out(leaves.withColumn("weight", F.col(f"w_{leaf}")).join(mids, [top, middle]), [top, middle], leaf).select(*LEVELS, "tokens", "got", "open")
 
 
 def with_leaf(docs: DataFrame, domain: Column, lang: str = "lang", source: str = "source", doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -95,7 +96,8 @@ def plan_mix(placed: DataFrame, share: float, epochs: int, weights: DataFrame |
     budget = int(share * tree.agg(F.coalesce(F.sum("tokens"), F.lit(0))).first()[0])
     leaves = leaf_budgets(tree.select(*LEVELS, "tokens"), budget, epochs, weights)
     leaves = leaves.join(tree.select(*LEVELS, "docs"), list(LEVELS))
-    whole = F.coalesce(F.expr("got div nullif(tokens, 0)"), F.lit(0)).cast("int")
+    free = F.when(F.col("open") & F.lit(share > 0), F.lit(epochs)).otherwise(F.lit(0))  # a leaf without tokens fits any budget
+    whole = F.coalesce(F.expr("got div nullif(tokens, 0)"), free).cast("int")
     leaves = leaves.withColumn("whole", F.least(whole, F.lit(epochs))).withColumn("rest", F.col("got") - F.col("whole") * F.col("tokens"))
     cells = F.greatest(F.lit(1), F.least(F.lit(1 << 16), F.ceil(F.col("docs") / CELL_ROWS))).cast("long")
     leaves = settle(leaves.withColumn("cells", cells), "leaves")
