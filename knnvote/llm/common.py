@@ -2,8 +2,13 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 from collections.abc import Iterable
 
+import pyarrow as pa
+from py4j.protocol import Py4JError
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -24,6 +29,34 @@ def small_batches(spark: SparkSession) -> None:
         spark.conf.set(key, str(BATCH_ROWS))
 
 
+def give_back(spark: SparkSession) -> None:
+    """Returns the driver's free memory to the system: Python's, the JVM's heap, and what its native allocator holds.
+
+    Both allocators keep the most that a step took, so over the steps of a pipeline a driver of little live data grows all
+    the same. What an allocator or a JVM (before 17.0.9) can't give back stays.
+    """
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(AttributeError, OSError):  # glibc only
+        ctypes.CDLL(None).malloc_trim(0)
+    jvm, gateway = spark.sparkContext._jvm, spark.sparkContext._gateway
+
+    def array(kind, *items):
+        out = gateway.new_array(kind, len(items))
+        for k, x in enumerate(items):
+            out[k] = x
+        return out
+
+    jvm.System.gc()
+    objects, strings, named = jvm.java.lang.Object, jvm.java.lang.String, jvm.java.lang.Class.forName
+    with contextlib.suppress(Py4JError):
+        # by reflection on the interface, as the server's own class is closed to Py4J
+        kinds = "javax.management.ObjectName", "java.lang.String", "[Ljava.lang.Object;", "[Ljava.lang.String;"
+        invoke = named("javax.management.MBeanServer").getMethod("invoke", array(jvm.java.lang.Class, *map(named, kinds)))
+        commands = jvm.javax.management.ObjectName("com.sun.management:type=DiagnosticCommand")
+        invoke.invoke(jvm.java.lang.management.ManagementFactory.getPlatformMBeanServer(), array(objects, commands, "systemTrimNativeHeap", array(objects), array(strings)))
+
+
 def literal_rows(spark: SparkSession, rows: Iterable[tuple], schema: str) -> DataFrame:
     """A few rows of numbers and plain words as a DataFrame, from one literal; schema as `name type, ...`."""
     text = "\n".join("\t".join(map(str, r)) for r in rows)

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import similar
-from .common import settle, small_batches
+from .common import give_back, settle, small_batches
 from .components import connected_components
 from .similar import shingle_hashes
 
@@ -255,15 +255,19 @@ def _with_similar(links: DataFrame, fps: DataFrame, groups: DataFrame, docs: Dat
     held = [F.first(c).alias(c) for c in ("member", "keys", "least", "n")]
     sketches = settle(own.groupBy(F.col("tid").alias("node"), F.col("doc_id").alias("doc")).agg(*held), "sketches")
     shared = similar.shared_bands(sketches)
+    give_back(docs.sparkSession)  # here and below: many plans and jobs, few rows for the driver
     docs = docs.where(F.col(text).isNotNull())
     named_by = lambda pairs, kind, of: pairs.join(of.select(F.col("node").alias("a"), F.col(kind).alias("u")), "a").join(of.select(F.col("node").alias("b"), F.col(kind).alias("v")), "b").select(F.col("u").alias("a"), F.col("v").alias("b"))
     first = similar.confirmed(similar.head_cells(similar.to_heads(sketches, shared, similarity), sketches), docs, similarity, shingle, doc_id, text)
     label = settle(connected_components(settle(links.unionByName(named_by(first, "member", sketches)), "links")), "label")
     placed = sketches.join(label.withColumnRenamed("node", "member"), "member", "left").select("node", F.coalesce("component", "member").alias("part"), "keys", "least", "n", "doc")
     placed = settle(placed, "placed")
+    give_back(docs.sparkSession)
     more = similar.confirmed(similar.apart(placed, shared, similarity), docs, similarity, shingle, doc_id, text)
     joined = label.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(named_by(more, "part", placed))
-    return connected_components(settle(joined, "links"))
+    joined = settle(joined, "links")
+    give_back(docs.sparkSession)
+    return connected_components(joined)
 
 
 def one_of_each(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS, similarity: float | None = None) -> DataFrame:

@@ -84,18 +84,20 @@ def fit(texts: list[bytes], labels: np.ndarray, least: int = 3, z: float = 2.5,
     counts = np.zeros((2, 2**BITS), np.int32)
     for t, c in zip(texts, labels, strict=True):
         counts[int(c), _present(t)] += 1
-    p1, p0 = counts[1] + 0.5, counts[0] + 0.5
+    seen = np.flatnonzero(counts.sum(0) >= least)  # far fewer than all buckets
+    p1, p0 = counts[1, seen] + 0.5, counts[0, seen] + 0.5
+    del counts
     ratio = np.log(p1 / (n1 + 1)) - np.log(p0 / (n0 + 1))
     error = np.sqrt(1 / p1 - 1 / (n1 + 1) + 1 / p0 - 1 / (n0 + 1))
-    chosen = np.flatnonzero((counts.sum(0) >= least) & (np.abs(ratio) > z * error))
-    column = np.full(2**BITS, -1, np.int64)
+    far = np.abs(ratio) > z * error
+    chosen, r = seen[far], ratio[far]
+    column = np.full(2**BITS, -1, np.int32)
     column[chosen] = np.arange(len(chosen))
     # a second look at the texts keeps the chosen n-grams alone in memory
     wanted = column >= 0
-    cols = [column[_present(t, wanted)].astype(np.int32) for t in texts]
+    cols = [column[_present(t, wanted)] for t in texts]
     row = np.repeat(np.arange(len(cols), dtype=np.int32), [len(c) for c in cols])
     col = np.concatenate(cols) if cols else np.zeros(0, np.int32)
-    r = ratio[chosen]
     balance = np.where(y == 1, 0.5 * len(y) / n1, 0.5 * len(y) / n0)
     begin = np.searchsorted(row, np.arange(len(y)))
     none = np.diff(np.append(begin, len(row))) == 0  # texts without any chosen n-gram

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import tracemalloc
 import unicodedata
 from collections import Counter
 
@@ -12,7 +13,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from knnvote.llm import langid, licenses, mih, mixing, sharding, tokenstore, toxicity, winnowing
+from knnvote.llm import common, langid, licenses, mih, mixing, sharding, simhash, tokenstore, toxicity, winnowing
 
 CLASH = ("_id", "_k", "_nth", "shard", "key", "slot", "domain", "copies", "part", "_row", "component_id", "score")
 ODD = [None, "", " \n", "a", "word " * 30_000, "twice the same text, with more than five words", "twice the same text, with more than five words", "Ünïcode ß 漢字 text", "12 %% !!"]
@@ -46,6 +47,47 @@ def test_every_stage_keeps_columns_and_odd_rows(spark, tmp_path):
                 assert len(got) == kept[name], name
 
 
+def test_give_back_shrinks_the_driver(spark):
+    sc = spark.sparkContext
+    jvm = sc._jvm.java.lang.Runtime.getRuntime()
+    held = [sc._gateway.new_array(sc._jvm.long, 1 << 20) for _ in range(60)]  # 480 MB
+    grown = jvm.totalMemory()
+    assert grown > 480 << 20
+    for x in held:
+        sc._gateway.detach(x)
+    common.give_back(spark)
+    assert jvm.totalMemory() < grown - (100 << 20)
+
+
+def test_every_stage_gives_the_drivers_memory_back(spark, tmp_path, monkeypatch):
+    docs = odd_docs(spark)
+    spark.createDataFrame([(3, 0), (5, 1)], "doc_id long, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    spark.createDataFrame([(1, "a")], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    calls = []
+    for module in (corpus_pipeline, simhash):
+        monkeypatch.setattr(module, "give_back", calls.append)
+    for name, stage in corpus_pipeline.STAGES:
+        before = len(calls)
+        stage(spark, docs.where("doc_id = 3"), str(tmp_path))
+        assert len(calls) > before, name
+
+
+def test_leaves_without_tokens_follow_their_weights(spark):
+    docs = spark.createDataFrame([(1, None, "a"), (2, "", "b"), (3, "w w", "c")], "doc_id long, text string, source string").withColumn("lang", F.lit("en"))
+    weights = spark.createDataFrame([(2, "b", 0)], "level int, name string, weight long")
+    taken = lambda share: {r.doc_id for r in mixing.mixed_rows(docs, F.lit("d"), share, weights).collect()}
+    assert taken(1.0) == {1, 3} and taken(0.5) == {1} and taken(0.0) == set()
+
+
+def test_fit_holds_counts_of_seen_ngrams_only():
+    texts = [f"word{i % 7} and some{i % 3} text".encode() for i in range(40)]
+    tracemalloc.start()
+    model = toxicity.fit(texts, np.arange(40) % 7 == 0)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert (model.weights != 0).any() and peak < 32 << 20
+
+
 def test_pipeline_runs_whole(spark, tmp_path):
     words = np.random.default_rng(3)
     fresh = lambda n: " ".join(f"w{x}" for x in words.integers(0, 10**6, n))
