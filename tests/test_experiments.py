@@ -87,3 +87,68 @@ def test_frontier_keeps_the_least_setting_of_equal_runs(spark):
     for order in (rows, rows[::-1], rows[2:] + rows[:2]):
         runs = spark.createDataFrame(order, "trees int, depth int, votes int, recall double, candidates long").coalesce(1)
         assert sorted(map(tuple, me.frontier(runs, "candidates").collect())) == [(4, 2, 1, 0.9, 30), (4, 3, 2, 0.5, 10)]
+
+
+def test_letter_pairs_and_words_of_odd_texts(spark, tmp_path):
+    rows = [(1, "abcABC"), (2, "a\U0001f600b\nc \u212aelvin"), (3, "a b"), (4, ""), (5, None), (6, "x" * 5000 + " the"), (6, "the the")]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    place = lambda gram, d: ta._bucket_of(gram.encode(), d)
+    got = {r.id: np.array(r.vec) for r in ta.letter_bigrams(spark, str(tmp_path)).collect()}
+    assert set(got) == {1, 2, 6}
+    want = np.zeros(784)
+    for gram, n in (("ab", 2), ("bc", 2), ("ca", 1)):
+        want[place(gram, 784)] += n
+    assert np.allclose(got[1], want / 3)
+    want = np.zeros(784)
+    for gram, n in (("xx", 4999), ("th", 3), ("he", 3)):  # both rows of a document, and no pair across their ends
+        want[place(gram, 784)] += n
+    assert np.allclose(got[6], want / np.linalg.norm(want))
+    docs = ta.load(spark, str(tmp_path), "documents")
+    words = {r.id: np.array(r.vec) for r in ta.word_counts(docs, "doc_id", "text", 512, idf=False).collect()}
+    assert set(words) == {1, 2, 3, 6} and np.isclose(words[6][place("the", 512)], 3 / np.sqrt(10))
+    assert "Generate" not in ta.word_counts(docs, "doc_id", "text", 512)._jdf.queryExecution().executedPlan().toString()  # a row a text, not a row a word
+
+
+def test_budgets_count_pairs_without_making_them(spark):
+    from knnvote.operators import baselines as ba
+
+    points, queries = ta.hold_out(fo.materialised(ta.gaussian_sphere(spark, 200, 12), "points"), 20)
+    truth = fo.materialised(se.brute_force_knn(points, queries, 5), "truth")
+    forest = ba.axis_forest(points, 3, 3, top_dims=5)
+    visits = fo.materialised(forest.visits(queries, 8), "visits")
+    for r in ex.budget_runs(visits, forest.codes, truth, 5, 20, [1, 4, 8]).collect():
+        met = forest.cells.join(visits.where(F.col("nth") <= r.budget), ["part", "cell"]).select("qid", "id").distinct()
+        assert (r.evals, r.recall) == (met.count(), round(met.join(truth, ["qid", "id"]).count() / 100, 6))
+
+
+def test_tree_methods_split_and_build_alike_from_blocks(spark, monkeypatch):
+    from knnvote.operators import baselines as ba
+    from knnvote.operators.blocks import packed
+
+    points = fo.materialised(ta.gaussian_sphere(spark, 300, 12).unionByName(ta.gaussian_sphere(spark, 40, 12).select((F.col("id") + 1000).alias("id"), "vec")), "points")
+    held = packed(points)
+    assert sum(len(ids) for ids, in held.table.selectExpr("unhex(hex(ids))").collect()) == 8 * 340
+    one, two = fo.build_forest(points, P), fo.build_forest(points, P, held)
+    assert np.allclose(one.splits, two.splits) and sorted(map(tuple, one.codes.collect())) == sorted(map(tuple, two.codes.collect()))
+    small = ba.axis_forest(points, 2, 3, top_dims=5, held=held)
+    monkeypatch.setattr(ba, "LOCAL_ROWS", 100)
+    large = ba.axis_forest(points, 2, 3, top_dims=5, held=held)
+    assert np.array_equal(small.axes, large.axes) and np.allclose(small.cuts, large.cuts)
+
+
+def test_graph_lists_hold_the_nearest_that_were_tried(spark):
+    from knnvote.operators import baselines as ba
+
+    x = np.random.default_rng(3).integers(0, 3, (300, 24)).astype(float)  # many copies of values: packed by a byte a place
+    points = fo.materialised(spark.createDataFrame([(7 * i - 50, v.tolist()) for i, v in enumerate(x)], "id long, vec array<double>"), "points")
+    rows = ba.knn_graph(points, 10, delta=0.0).edges.collect()
+    hits = 0
+    for i in range(300):
+        far = np.round(np.sqrt(((x - x[i]) ** 2).sum(1)), 6)
+        own = [(r.distance, r.v) for r in rows if r.u == 7 * i - 50]
+        assert len(own) == 10 and all(d == far[(v + 50) // 7] for d, v in own) and 7 * i - 50 not in [v for _, v in own]
+        far[i] = np.inf
+        hits += sum(d <= np.sort(far)[9] for d, _ in own)
+    assert hits > 0.9 * 3000
+    codes = [ba._squeezed(v) for v in x] + [ba._squeezed(np.arange(24.0))]
+    assert len(codes[0]) < 24 * 8 and np.array_equal(ba._spread_out(codes, "<f8", 24), np.vstack([x, np.arange(24.0)]))
