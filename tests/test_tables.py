@@ -112,3 +112,16 @@ def test_bounded_search_makes_no_rows_of_candidates(spark, monkeypatch):
     far = np.round(np.sqrt(((x[:6, None] - x[None]) ** 2).sum(2)), 6)
     want = {(i, n, int(j)) for i in range(6) for n, j in enumerate(np.lexsort((np.arange(120), far[i]))[:3], 1)}
     assert {(r.qid, r.rank, r.id) for r in tree.search_bounded(queries, 3).collect()} == want
+
+
+def test_part_demand_is_filled_in_blocks(spark, tmp_path):
+    from datetime import datetime
+
+    from knnvote.sources import tables as ta
+
+    rows = [(1, 2.0, datetime(1995, 1, 1)), (1, 3.0, datetime(1995, 1, 20)), (1, 4.0, datetime(1995, 1, 21)), (2, 5.0, datetime(2001, 12, 31)), (3, 6.0, datetime(1994, 1, 1)), (2, 1.0, datetime(1995, 2, 10))]
+    spark.createDataFrame(rows, "l_partkey long, l_quantity double, l_shipdate timestamp").write.parquet(f"{tmp_path}/lineitem.parquet")
+    demand = ta.part_demand(spark, str(tmp_path))
+    got = {r.id: {i: v for i, v in enumerate(r.vec) if v} for r in demand.collect()}
+    assert got == {1: {0: 5.0, 1: 4.0}, 2: {2: 1.0, 127: 5.0}}
+    assert "MapInArrow" in demand._jdf.queryExecution().executedPlan().toString()  # no map is searched anew for each of the 128 places
