@@ -152,3 +152,19 @@ def test_graph_lists_hold_the_nearest_that_were_tried(spark):
     assert hits > 0.9 * 3000
     codes = [ba._squeezed(v) for v in x] + [ba._squeezed(np.arange(24.0))]
     assert len(codes[0]) < 24 * 8 and np.array_equal(ba._spread_out(codes, "<f8", 24), np.vstack([x, np.arange(24.0)]))
+
+
+def test_weighted_words_equal_plain_counts(spark):
+    rows = [(i, " ".join(w for j, w in enumerate(("ant", "bee", "cat", "dog", "eel")) for _ in range((i * j) % 4))) for i in range(12)]
+    docs = spark.createDataFrame(rows, "id long, text string")
+    got = {r.id: np.array(r.vec) for r in ta.word_counts(docs, "id", "text", 300).collect()}
+    counts = {}
+    for i, text in rows:
+        for w in text.split():
+            v = counts.setdefault(i, np.zeros(300))
+            v[ta._bucket_of(w.encode(), 300)] += 1
+    weight = np.log(12 / np.maximum(1, sum(v > 0 for v in counts.values())))
+    assert set(got) == set(counts)
+    for i, v in counts.items():
+        want = v * weight
+        assert np.allclose(got[i], want / (np.linalg.norm(want) or 1))
